@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import SPACE, forget, materialize, n_words_of, small
+from semjoin.llm.common import SPACE, SPACE_RUN, forget, materialize, small
 
 _MIX1, _MIX2, _BASE = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x2545F4914F6CDD1D
 _BASE_INV = pow(_BASE, -1, 1 << 64)
@@ -44,16 +44,17 @@ def deletion_hashes(line: str) -> tuple[int, np.ndarray]:
         return int(_mix(np.array([whole + np.uint64(len(codes))]))[0]), _mix(upto - terms + (whole - upto) * np.uint64(_BASE_INV) + np.uint64(len(codes) - 1))
 
 
-def half_keys(line: str) -> tuple[int, int, int, int]:
-    """Keys of halves: two lines of equal length one substitution apart share an own key at the same
-    place; of two lines one insertion apart, the longer one's probes (for a length less by one) hit an
-    own key of the shorter one."""
-    n, h = len(line), xxhash.xxh64_intdigest
-    a, b = n // 2, max(n - 1, 0) // 2
-    return (
-        h(line[:a].encode(), n << 1), h(line[a:].encode(), n << 1 | 1),
-        h(line[:b].encode(), max(n - 1, 0) << 1), h(line[b + 1 :].encode(), max(n - 1, 0) << 1 | 1),
-    )
+def block_keys(line: str, blocks: int) -> list[int]:
+    """Own keys, then probes: hashes of the line without one of its blocks. Lines of equal length one
+    substitution apart share the own key that leaves out the block of the change; of two lines one
+    insertion apart, a probe of the longer one (blocks of a length less by one, and one code point more left out)
+    is an own key of the shorter one."""
+    n, out = len(line), []
+    for size, more in ((n, 0), (max(n - 1, 0), 1)):
+        for j in range(blocks):
+            a, b = j * size // blocks, (j + 1) * size // blocks + more
+            out.append(xxhash.xxh64_intdigest((line[:a] + line[b:]).encode(), size * blocks + j))
+    return out
 
 
 def within_one_edit(a: str, b: str) -> bool:
@@ -68,13 +69,32 @@ def within_one_edit(a: str, b: str) -> bool:
 def lines_of(docs: DataFrame, id_col: str, text_col: str, min_words: int) -> DataFrame:
     """(doc_id, line_no from 0, line) of the lines with min_words words or more, white space at their ends cut."""
     cut = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("line_no", "line"))
-    return cut.select("doc_id", "line_no", F.trim("line", F.lit(SPACE)).alias("line")).where(n_words_of(F.col("line")) >= min_words)
+    cut = cut.select("doc_id", "line_no", F.trim("line", F.lit(SPACE)).alias("line"))
+    space = SPACE_RUN[1:-2]
+    return cut.where(F.col("line").rlike(f"^[^{space}]+(?:[{space}]++[^{space}]++){{{max(min_words, 1) - 1}}}"))
 
 
-def _half_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+#: Blocks of the first filter, which all lines pass through, and of the second one for the lines that are left.
+COARSE, FINE = 2, 16
+
+
+def _keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    """The line replaced by its coarse block keys."""
     for pdf in batches:
-        keys = np.array([half_keys(x) for x in pdf["line"]], np.uint64).reshape(-1, 4).view(np.int64)
-        yield pd.DataFrame({"h": np.repeat(pdf["h"].to_numpy(), 4), "key": keys.ravel(), "own": np.tile([True, True, False, False], len(pdf))})
+        keys = np.array([block_keys(x, COARSE) for x in pdf["line"]], np.uint64).reshape(-1, 2 * COARSE).view(np.int64)
+        yield pdf.drop(columns="line").assign(**{f"k{i}": keys[:, i] for i in range(2 * COARSE)})
+
+
+def _fine_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for pdf in batches:
+        keys = np.array([block_keys(x, FINE) for x in pdf["line"]], np.uint64).reshape(-1, 2 * FINE).view(np.int64)
+        yield pd.DataFrame({"h": np.repeat(pdf["h"].to_numpy(), 2 * FINE), "key": keys.ravel(), "own": np.tile(np.arange(2 * FINE) < FINE, len(pdf))})
+
+
+def _meeting(keys: DataFrame) -> DataFrame:
+    """(h): the lines that share a key (h, key, own) with another line for which it is an own key."""
+    shared = keys.groupBy("key").agg(F.min("h").alias("lo"), F.max("h").alias("hi"), F.bool_or("own").alias("own")).where("lo <> hi and own").select("key")
+    return keys.join(small(materialize(shared, "shared"), BROADCAST_ROWS), "key", "left_semi").select("h").distinct()
 
 
 def _variant_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -98,9 +118,9 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     lines within one edit (a code point inserted, deleted or replaced) is earlier than all lines equal to
     it (edits 1); the keeper is that earliest line. Links are direct, not chained.
 
-    Near lines: each distinct line emits four hashed half-line keys, and only lines that meet another
-    there - which every line within one edit does - emit their whole deletion neighbourhood, as hashed
-    keys. Two lines share a variant at the same position just if one substitution parts them, and a variant
+    Near lines: each distinct line emits hashed keys of itself without a block of it, and only lines that
+    meet another there - which every line within one edit does - emit their whole deletion neighbourhood, as
+    hashed keys; blocks are halves first, then sixteenths for the lines that are left. Two lines share a variant at the same position just if one substitution parts them, and a variant
     of one is the other just if one insertion does; so the earliest member of a key is all that a key needs
     to give, and hot keys stay linear. Pairs are verified on the texts.
 
@@ -111,19 +131,23 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     spots = F.struct("doc_id", "line_no")
     lines = lines_of(docs, id_col, text_col, min_words)
     hashed = lines.select("doc_id", "line_no", F.xxhash64("line").alias("h"), F.xxhash64("line", F.lit("second")).alias("h2"), "line")
-    seen = materialize(hashed.drop("line"), "lines")
-    classes = materialize(seen.groupBy("h", "h2").agg(F.min(spots).alias("first"), F.count(F.lit(1)).alias("n")), "classes")
-
-    halves = materialize(hashed.select("h", "line").mapInPandas(_half_rows, "h long, key long, own boolean"), "half-keys")
-    shared = halves.groupBy("key").agg(F.min("h").alias("lo"), F.max("h").alias("hi"), F.bool_or("own").alias("own")).where("lo <> hi and own").select("key")
-    shared = materialize(shared, "halves")
-    meet = materialize(halves.join(small(shared, BROADCAST_ROWS), "key", "left_semi").select("h").distinct(), "meet")
-    forget(shared, halves)
-    first_lines = classes.join(small(meet, BROADCAST_ROWS), "h", "left_semi").select("h", "h2", "first")
-    first_lines = materialize(first_lines, "survivors")
-    at = first_lines.select(F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "h", "h2")
-    texts = materialize(lines.join(small(at, BROADCAST_ROWS), ["doc_id", "line_no"]).select("h", "h2", "line", spots.alias("first")).dropDuplicates(["h", "h2"]), "texts")
-    forget(meet, first_lines)
+    names = [f"k{i}" for i in range(2 * COARSE)]
+    head = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hashed.drop("line").schema)
+    seen = materialize(hashed.mapInPandas(_keyed, head + "".join(f", {k} long" for k in names)), "lines")
+    classes = materialize(seen.groupBy("h", "h2").agg(F.min(spots).alias("first"), F.count(F.lit(1)).alias("n"), *[F.min(k).alias(k) for k in names]), "classes")
+    seen, keys = seen.drop(*names), classes.select("h", F.posexplode(F.array(*names)).alias("at", "key"))
+    classes = classes.drop(*names)
+
+    meet = materialize(_meeting(keys.select("h", "key", (F.col("at") < COARSE).alias("own"))), "meet")
+    at = materialize(classes.join(small(meet, BROADCAST_ROWS), "h", "left_semi").select(F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "h", "h2"), "survivors")
+    holders = materialize(at.select(F.col("doc_id").alias("__id")).distinct(), "holders")
+    held = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(small(holders, BROADCAST_ROWS), F.col("doc_id") == F.col("__id"), "left_semi")
+    again = lines_of(held, "doc_id", "text", min_words).withColumn("h", F.xxhash64("line")).withColumn("h2", F.xxhash64("line", F.lit("second")))
+    texts = again.join(small(at, BROADCAST_ROWS), ["doc_id", "line_no", "h", "h2"]).select("h", "h2", "line", spots.alias("first")).dropDuplicates(["h", "h2"])
+    texts = materialize(texts, "texts")
+    fine = materialize(_meeting(materialize(texts.select("h", "line").mapInPandas(_fine_rows, "h long, key long, own boolean"), "fine")), "meet")
+    texts = materialize(texts.join(small(fine, BROADCAST_ROWS), "h", "left_semi"), "texts")
+    forget(meet, at, holders, fine)
 
     spot_of = texts.select("h", "first")
     variants = texts.select("h", "line").mapInPandas(_variant_rows, "h long, key long, kind byte").join(small(spot_of, BROADCAST_ROWS), "h")

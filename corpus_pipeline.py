@@ -6,32 +6,37 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from semjoin.llm import decontaminate, linededup, packing, quality, simhash
-from semjoin.llm.common import materialize
+from semjoin.llm.common import materialize, stage_scope
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the base rules or the risk-controlled rules reject go."""
-    return quality.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    with stage_scope(docs):
+        return quality.keep_good(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines that an earlier line repeats, exactly or within one edit, are cut; emptied documents go."""
-    return linededup.without_lines(docs, linededup.duplicate_lines(docs))
+    with stage_scope(docs):
+        return linededup.without_lines(docs, linededup.duplicate_lines(docs))
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near duplicates the document with the smallest id stays."""
-    return simhash.first_of_group(docs)
+    with stage_scope(docs):
+        return simhash.first_of_group(docs)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark item go."""
-    return decontaminate.without_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+    with stage_scope(docs):
+        return decontaminate.without_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of the documents in length buckets and token-budget batches."""
-    return packing.pack(docs)
+    with stage_scope(docs):
+        return packing.pack(docs)
 
 
 STAGES = [

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
+import threading
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -34,16 +37,42 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._work_path = path
+    if getattr(_scope, "paths", None) is not None:
+        _scope.paths.append(path)
     return out
 
 
+_scope = threading.local()
+
+
+@contextlib.contextmanager
+def stage_scope(docs: DataFrame) -> Iterator[None]:
+    """Around a stage whose input has been written and read again: deletes the intermediates that earlier
+    stages of this thread left, but for those that docs itself still reads, and notes those of this stage."""
+    old = getattr(_scope, "kept", [])
+    if old:
+        read = docs.inputFiles()
+        _scope.kept = [p for p in old if any(p.removeprefix("file://") in f for f in read)]
+        for p in set(old) - set(_scope.kept):
+            _delete(docs.sparkSession, p)
+    _scope.paths = []
+    try:
+        yield
+    finally:
+        _scope.kept, _scope.paths = getattr(_scope, "kept", []) + _scope.paths, None
+
+
 def forget(*frames: DataFrame) -> None:
     """Delete tables that materialize() wrote and nobody will read again."""
     for df in frames:
         path = getattr(df, "_work_path", None)
         if path:
-            hadoop = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
-            hadoop.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(hadoop, True)
+            _delete(df.sparkSession, path)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def small(df: DataFrame, max_rows: int) -> DataFrame:

@@ -174,8 +174,8 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def without_lines(docs: DataFrame, gone: DataFrame) -> DataFrame:
     """docs with the lines in `gone` (doc_id, line_no) cut from their texts; a document that loses its last
     word goes. Other documents, and all other columns, stay as they are."""
-    cuts = materialize(gone.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set("line_no").alias("__cut")), "cuts")
-    joined = docs.join(small(cuts, BROADCAST_ROWS // 10), docs["doc_id"] == cuts["__id"], "left")
+    cuts = materialize(gone.groupBy(F.col("doc_id").alias("__id")).agg(F.array_sort(F.collect_set("line_no")).alias("__cut")), "cuts")
+    joined = docs.join(small(cuts, BROADCAST_ROWS), docs["doc_id"] == cuts["__id"], "left")
     kept = F.array_join(F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("__cut", i)), "\n")
     text = F.when(F.col("__cut").isNull(), F.col("text")).otherwise(kept)
     new = joined.withColumn("__new", text).where(F.col("__cut").isNull() | (F.trim("__new", F.lit(SPACE)) != ""))

@@ -45,7 +45,10 @@ def with_features(docs: DataFrame, text_col: str = "text") -> DataFrame:
     found = F.filter("__sorted", lambda _, i: near(i, 1) | F.when(i > 0, near(i, -1)).otherwise(False))
     d = d.withColumn("__at", F.sort_array(F.transform(found, lambda x: x["i"])))
     covered = F.aggregate(F.transform("__at", lambda x, i: F.least(F.lit(3), F.coalesce(F.get("__at", i + 1) - x, F.lit(3)))), F.lit(0).cast("long"), lambda a, x: a + x)
-    return d.withColumn("__n_repeat_words", F.coalesce(covered, F.lit(0).cast("long"))).drop("__win", "__sorted", "__at")
+    d = d.withColumn("__n_repeat_words", F.coalesce(covered, F.lit(0).cast("long")))
+    # A generator of one row keeps later filters from being pushed below, which would compute all this again.
+    names = ("__n_words", "__word_chars", "__n_symbols", "__n_dup_lines", "__n_lines", "__n_marks", "__n_repeat_words")
+    return d.select(*docs.columns, F.inline(F.array(F.struct(*names))))
 
 
 def base_failed() -> Column:
@@ -115,7 +118,11 @@ def quality(docs: DataFrame, labels: DataFrame, **params) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, **params) -> DataFrame:
-    """The rows of docs that quality() keeps, with their columns as they are."""
-    feats = materialize(with_features(docs), "features")
-    cutoffs = materialize(calibrate(feats, labels, **params), "cutoffs")
-    return judge(feats, cutoffs).where("__kept").select(*docs.columns)
+    """The rows of docs that quality() keeps, with their columns as they are.
+
+    Calibration reads labelled texts alone; judging then is one pass that neither shuffles nor writes texts.
+    """
+    ids = materialize(labels.where("doc_id is not null and quality is not null").select(F.col("doc_id").alias("__id")).distinct(), "labelled")
+    labelled = docs.select("doc_id", "text", "lang").join(small(ids, 1_000_000), F.col("doc_id") == F.col("__id"), "left_semi")
+    cutoffs = materialize(calibrate(materialize(with_features(labelled).drop("text"), "features"), labels, **params), "cutoffs")
+    return judge(with_features(docs), cutoffs).where("__kept").select(*docs.columns)

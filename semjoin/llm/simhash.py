@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import components, forget, materialize, text_bytes
+from semjoin.llm.common import components, forget, materialize, small, text_bytes
 
 BITS = 64
 #: A bucket with more distinct fingerprints than this leaves the grouped path for the exploded one.
@@ -160,5 +160,5 @@ def first_of_group(docs: DataFrame, **params) -> DataFrame:
     Rows with a null id are kept. Rows that repeat the kept id are kept with it. Columns stay as they are.
     """
     groups = near_duplicates(docs.select("doc_id", "text"), **params)
-    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs["doc_id"] == gone["__gone"], "left_anti")
+    gone = materialize(groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct(), "gone")
+    return docs.join(small(gone, 200_000), docs["doc_id"] == gone["__gone"], "left_anti")

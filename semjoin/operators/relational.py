@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from semjoin.sources.tables import TABLES, load
@@ -25,10 +25,19 @@ def _t(*names: str):
     return lambda f: lambda spark, sf_dir: f(*[load(spark, sf_dir, n) for n in names])
 
 
-n, one = F.count(F.lit(1)), F.lit(1)
+
+
+def _n() -> Column:
+    return F.count(F.lit(1))
+
+
+def _by() -> Window:
+    return Window.partitionBy("user_id").orderBy("event_id")
+
+
 _KEYS = {"region": "r_regionkey", "nation": "n_nationkey", "customer": "c_custkey", "supplier": "s_suppkey", "part": "p_partkey", "orders": "o_orderkey", "lineitem": "l_orderkey", "events": "event_id", "documents": "doc_id", "embeddings": "vec_id", "pages": "page_id", "benchmark": "item_id", "labels": "doc_id", "conversations": "conv_id"}
 for _name in TABLES:
-    query(f"SELECT count(*) AS n, CAST(sum({_KEYS[_name]} % 1009) AS BIGINT) AS s FROM {_name}", f"scan_{_name}")(_t(_name)(lambda x, k=_KEYS[_name]: x.agg(n.alias("n"), F.sum(F.col(k) % 1009).alias("s"))))
+    query(f"SELECT count(*) AS n, CAST(sum({_KEYS[_name]} % 1009) AS BIGINT) AS s FROM {_name}", f"scan_{_name}")(_t(_name)(lambda x, k=_KEYS[_name]: x.agg(_n().alias("n"), F.sum(F.col(k) % 1009).alias("s"))))
 
 # Filters.
 query("SELECT p_partkey FROM part WHERE p_size BETWEEN 5 AND 20 AND p_brand IN ('Brand#7', 'Brand#20')", "filter_between_in")(_t("part")(lambda p: p.where(F.col("p_size").between(5, 20) & F.col("p_brand").isin("Brand#7", "Brand#20")).select("p_partkey")))
@@ -63,7 +72,7 @@ query("SELECT a.n_nationkey AS x, b.n_nationkey AS y FROM nation a JOIN nation b
 query("SELECT a.doc_id AS x, b.lang AS lang FROM documents a JOIN (SELECT DISTINCT nullif(lang, 'en') AS lang FROM documents) b ON nullif(a.lang, 'en') IS NOT DISTINCT FROM b.lang", "join_null_safe")(
     _t("documents")(lambda d: d.select(F.col("doc_id").alias("x"), F.nullif("lang", F.lit("en")).alias("l")).join(d.select(F.nullif("lang", F.lit("en")).alias("lang")).distinct(), F.col("l").eqNullSafe(F.col("lang"))).select("x", "lang")))
 query("SELECT b.lo AS lo, count(*) AS n FROM part p JOIN (SELECT range AS lo FROM range(0, 50, 10)) b ON p.p_size >= b.lo AND p.p_size < b.lo + 10 GROUP BY 1", "join_range")(
-    _t("part")(lambda p: p.join(F.broadcast(p.sparkSession.range(0, 50, 10).withColumnRenamed("id", "lo")), (F.col("p_size") >= F.col("lo")) & (F.col("p_size") < F.col("lo") + 10)).groupBy("lo").agg(n.alias("n"))))
+    _t("part")(lambda p: p.join(F.broadcast(p.sparkSession.range(0, 50, 10).withColumnRenamed("id", "lo")), (F.col("p_size") >= F.col("lo")) & (F.col("p_size") < F.col("lo") + 10)).groupBy("lo").agg(_n().alias("n"))))
 
 
 @query("SELECT e.event_id AS event_id, max(s.event_id) AS before FROM (SELECT * FROM events WHERE event_type = 'error') e JOIN (SELECT * FROM events WHERE event_type = 'signup') s ON s.user_id = e.user_id AND s.event_id < e.event_id GROUP BY e.event_id")
@@ -79,24 +88,23 @@ def join_asof(spark, sf_dir):
 def join_multiway(spark, sf_dir):
     r, x, c, o, li = (load(spark, sf_dir, t) for t in ("region", "nation", "customer", "orders", "lineitem"))
     out = li.join(o, li["l_orderkey"] == o["o_orderkey"]).join(c, o["o_custkey"] == c["c_custkey"]).join(x, c["c_nationkey"] == x["n_nationkey"]).join(r, x["n_regionkey"] == r["r_regionkey"])
-    return out.groupBy("r_name").agg(n.alias("n"), F.sum("l_quantity").cast("double").alias("q"))
+    return out.groupBy("r_name").agg(_n().alias("n"), F.sum("l_quantity").cast("double").alias("q"))
 
 
 # Aggregation.
-query("SELECT p_brand, count(*) AS n, min(p_size) AS lo, max(p_size) AS hi, round(avg(p_size), 4) AS mean FROM part GROUP BY 1 HAVING count(*) > 5", "agg_group_having")(_t("part")(lambda p: p.groupBy("p_brand").agg(n.alias("n"), F.min("p_size").alias("lo"), F.max("p_size").alias("hi"), F.round(F.avg("p_size"), 4).alias("mean")).where("n > 5")))
+query("SELECT p_brand, count(*) AS n, min(p_size) AS lo, max(p_size) AS hi, round(avg(p_size), 4) AS mean FROM part GROUP BY 1 HAVING count(*) > 5", "agg_group_having")(_t("part")(lambda p: p.groupBy("p_brand").agg(_n().alias("n"), F.min("p_size").alias("lo"), F.max("p_size").alias("hi"), F.round(F.avg("p_size"), 4).alias("mean")).where("n > 5")))
 query("SELECT event_type, count(DISTINCT user_id) AS u FROM events GROUP BY 1", "agg_distinct")(_t("events")(lambda e: e.groupBy("event_type").agg(F.countDistinct("user_id").alias("u"))))
 for _kind in ("rollup", "cube"):
-    query(f"SELECT lang, source, count(*) AS n FROM documents GROUP BY {_kind.upper()}(lang, source)", f"agg_{_kind}")(_t("documents")(lambda d, k=_kind: getattr(d, k)("lang", "source").agg(n.alias("n"))))
-query("SELECT lang, source, count(*) AS n FROM documents GROUP BY GROUPING SETS ((lang), (source), ())", "agg_grouping_sets")(_t("documents")(lambda d: d.groupingSets([[F.col("lang")], [F.col("source")], []], "lang", "source").agg(n.alias("n"))))
-query("SELECT user_id % 5 AS g, count(CASE WHEN event_type = 'error' THEN 1 END) AS error, count(CASE WHEN event_type = 'signup' THEN 1 END) AS signup FROM events GROUP BY 1", "agg_pivot")(_t("events")(lambda e: e.groupBy((F.col("user_id") % 5).alias("g")).pivot("event_type", ["error", "signup"]).agg(n).fillna(0)))
+    query(f"SELECT lang, source, count(*) AS n FROM documents GROUP BY {_kind.upper()}(lang, source)", f"agg_{_kind}")(_t("documents")(lambda d, k=_kind: getattr(d, k)("lang", "source").agg(_n().alias("n"))))
+query("SELECT lang, source, count(*) AS n FROM documents GROUP BY GROUPING SETS ((lang), (source), ())", "agg_grouping_sets")(_t("documents")(lambda d: d.groupingSets([[F.col("lang")], [F.col("source")], []], "lang", "source").agg(_n().alias("n"))))
+query("SELECT user_id % 5 AS g, count(CASE WHEN event_type = 'error' THEN 1 END) AS error, count(CASE WHEN event_type = 'signup' THEN 1 END) AS signup FROM events GROUP BY 1", "agg_pivot")(_t("events")(lambda e: e.groupBy((F.col("user_id") % 5).alias("g")).pivot("event_type", ["error", "signup"]).agg(_n()).fillna(0)))
 query("SELECT lang, arg_max(doc_id, n_chars * 1000000 + doc_id) AS longest FROM documents GROUP BY 1", "agg_max_by")(_t("documents")(lambda d: d.groupBy("lang").agg(F.max_by("doc_id", F.struct("n_chars", "doc_id")).alias("longest"))))
-query("SELECT lang, count(*) AS n, string_agg(CAST(doc_id AS VARCHAR), ',' ORDER BY doc_id) AS ids FROM documents WHERE doc_id < 50 GROUP BY 1", "agg_collect")(_t("documents")(lambda d: d.where("doc_id < 50").groupBy("lang").agg(n.alias("n"), F.concat_ws(",", F.transform(F.array_sort(F.collect_list("doc_id")), lambda x: x.cast("string"))).alias("ids"))))
+query("SELECT lang, count(*) AS n, string_agg(CAST(doc_id AS VARCHAR), ',' ORDER BY doc_id) AS ids FROM documents WHERE doc_id < 50 GROUP BY 1", "agg_collect")(_t("documents")(lambda d: d.where("doc_id < 50").groupBy("lang").agg(_n().alias("n"), F.concat_ws(",", F.transform(F.array_sort(F.collect_list("doc_id")), lambda x: x.cast("string"))).alias("ids"))))
 query("SELECT round(corr(p_size, p_retailprice), 6) AS r, round(stddev_samp(p_size), 6) AS s FROM part", "agg_stats")(_t("part")(lambda p: p.agg(F.round(F.corr("p_size", "p_retailprice"), 6).alias("r"), F.round(F.stddev("p_size"), 6).alias("s"))))
 query("SELECT round(quantile_cont(p_size, 0.5), 4) AS mid, round(quantile_cont(p_size, 0.9), 4) AS high FROM part", "agg_percentile")(_t("part")(lambda p: p.agg(F.round(F.percentile("p_size", 0.5), 4).alias("mid"), F.round(F.percentile("p_size", 0.9), 4).alias("high"))))
 
 # Windows.
 _E = "FROM events WHERE event_id < 2000"
-_by = Window.partitionBy("user_id").orderBy("event_id")
 
 
 def _win(name: str, sql: str, f) -> None:
@@ -104,19 +112,19 @@ def _win(name: str, sql: str, f) -> None:
 
 
 _W = "OVER (PARTITION BY user_id ORDER BY event_id{})"
-_win("row_number", "row_number() " + _W.format(""), lambda: F.row_number().over(_by))
+_win("row_number", "row_number() " + _W.format(""), lambda: F.row_number().over(_by()))
 _win("rank", "rank() OVER (PARTITION BY event_type ORDER BY user_id)", lambda: F.rank().over(Window.partitionBy("event_type").orderBy("user_id")))
 _win("dense_rank", "dense_rank() OVER (PARTITION BY event_type ORDER BY user_id)", lambda: F.dense_rank().over(Window.partitionBy("event_type").orderBy("user_id")))
-_win("ntile", "ntile(4) " + _W.format(""), lambda: F.ntile(4).over(_by))
-_win("percent_rank", "round(percent_rank() " + _W.format("") + ", 6)", lambda: F.round(F.percent_rank().over(_by), 6))
-_win("cume_dist", "round(cume_dist() " + _W.format("") + ", 6)", lambda: F.round(F.cume_dist().over(_by), 6))
-_win("lag", "lag(event_id, 1) " + _W.format(""), lambda: F.lag("event_id", 1).over(_by))
-_win("lead", "lead(event_id, 2, -1) " + _W.format(""), lambda: F.lead("event_id", 2, -1).over(_by))
-_win("first", "first_value(event_id) " + _W.format(""), lambda: F.first("event_id").over(_by))
-_win("nth", "nth_value(event_id, 2) " + _W.format(""), lambda: F.nth_value("event_id", 2).over(_by))
-_win("frame_rows", "CAST(sum(event_id) " + _W.format(" ROWS BETWEEN 2 PRECEDING AND CURRENT ROW") + " AS BIGINT)", lambda: F.sum("event_id").over(_by.rowsBetween(-2, 0)))
-_win("frame_range", "count(*) " + _W.format(" RANGE BETWEEN 100 PRECEDING AND 100 FOLLOWING"), lambda: F.count(F.lit(1)).over(_by.rangeBetween(-100, 100)))
-_win("running", "CAST(sum(event_id) " + _W.format(" ROWS UNBOUNDED PRECEDING") + " AS BIGINT)", lambda: F.sum("event_id").over(_by.rowsBetween(Window.unboundedPreceding, 0)))
+_win("ntile", "ntile(4) " + _W.format(""), lambda: F.ntile(4).over(_by()))
+_win("percent_rank", "round(percent_rank() " + _W.format("") + ", 6)", lambda: F.round(F.percent_rank().over(_by()), 6))
+_win("cume_dist", "round(cume_dist() " + _W.format("") + ", 6)", lambda: F.round(F.cume_dist().over(_by()), 6))
+_win("lag", "lag(event_id, 1) " + _W.format(""), lambda: F.lag("event_id", 1).over(_by()))
+_win("lead", "lead(event_id, 2, -1) " + _W.format(""), lambda: F.lead("event_id", 2, -1).over(_by()))
+_win("first", "first_value(event_id) " + _W.format(""), lambda: F.first("event_id").over(_by()))
+_win("nth", "nth_value(event_id, 2) " + _W.format(""), lambda: F.nth_value("event_id", 2).over(_by()))
+_win("frame_rows", "CAST(sum(event_id) " + _W.format(" ROWS BETWEEN 2 PRECEDING AND CURRENT ROW") + " AS BIGINT)", lambda: F.sum("event_id").over(_by().rowsBetween(-2, 0)))
+_win("frame_range", "count(*) " + _W.format(" RANGE BETWEEN 100 PRECEDING AND 100 FOLLOWING"), lambda: F.count(F.lit(1)).over(_by().rangeBetween(-100, 100)))
+_win("running", "CAST(sum(event_id) " + _W.format(" ROWS UNBOUNDED PRECEDING") + " AS BIGINT)", lambda: F.sum("event_id").over(_by().rowsBetween(Window.unboundedPreceding, 0)))
 
 # Sets, order, top k.
 for _op, _m in (("union", "union"), ("intersect", "intersect"), ("except", "subtract"), ("intersect_all", "intersectAll"), ("except_all", "exceptAll"), ("union_all", "unionAll")):
@@ -136,7 +144,7 @@ query("SELECT p_partkey, p_size // 7 AS q, p_size % 7 AS m, greatest(p_size, 20)
     _t("part")(lambda p: p.where("p_partkey < 500").select("p_partkey", F.expr("int(p_size div 7)").alias("q"), (F.col("p_size") % 7).alias("m"), F.greatest("p_size", F.lit(20)).alias("g"), F.round(F.sqrt("p_size"), 6).alias("r"), F.ceil(F.col("p_size") / 4.0).alias("c"))))
 query("SELECT p_partkey, array_to_string(list_sort(string_split(p_name, ' ')), '|') AS w, len(string_split(p_name, ' ')) AS n, list_contains(string_split(p_name, ' '), 'bolt') AS b FROM part WHERE p_partkey < 500", "fn_array")(
     _t("part")(lambda p: p.where("p_partkey < 500").select("p_partkey", F.array_join(F.array_sort(F.split("p_name", " ")), "|").alias("w"), F.size(F.split("p_name", " ")).cast("long").alias("n"), F.array_contains(F.split("p_name", " "), "bolt").alias("b"))))
-query("SELECT word, count(*) AS n FROM (SELECT unnest(string_split(p_name, ' ')) AS word FROM part) x GROUP BY 1", "fn_explode")(_t("part")(lambda p: p.select(F.explode(F.split("p_name", " ")).alias("word")).groupBy("word").agg(n.alias("n"))))
+query("SELECT word, count(*) AS n FROM (SELECT unnest(string_split(p_name, ' ')) AS word FROM part) x GROUP BY 1", "fn_explode")(_t("part")(lambda p: p.select(F.explode(F.split("p_name", " ")).alias("word")).groupBy("word").agg(_n().alias("n"))))
 query("SELECT page_id, regexp_extract(html, '<html lang=\"([a-z]+)\"', 1) AS lang, regexp_extract(url, '^https?://([^/]+)', 1) AS host, length(regexp_replace(html, '<[^>]*>', '', 'g')) AS n FROM pages", "fn_html")(
     _t("pages")(lambda p: p.select("page_id", F.regexp_extract("html", '<html lang="([a-z]+)"', 1).alias("lang"), F.regexp_extract("url", "^https?://([^/]+)", 1).alias("host"), F.length(F.regexp_replace("html", "<[^>]*>", "")).alias("n"))))
 query("SELECT event_id, json_extract_string(to_json({'t': event_type, 'u': user_id}), '$.t') AS t FROM events WHERE event_id < 500", "fn_json")(_t("events")(lambda e: e.where("event_id < 500").select("event_id", F.get_json_object(F.to_json(F.struct(F.col("event_type").alias("t"), F.col("user_id").alias("u"))), "$.t").alias("t"))))

@@ -39,7 +39,7 @@ class Features(dict):
     def __missing__(self, word: str) -> tuple[int, ...]:
         mask = (1 << SPACE_BITS) - 1
         out = tuple(zlib.crc32(x.encode("utf-8", "surrogatepass")) & mask for x in ["=" + word] + [f"{n}{word[:n]}" for n in PREFIXES if len(word) > n])
-        if len(self) < 400_000:
+        if len(self) < 150_000:
             self[word] = out
         return out
 
@@ -157,7 +157,7 @@ def score(docs: DataFrame, model: tuple[float, dict[int, float]], threshold: flo
                     ids = hot.get(word)
                     if ids is None:
                         ids = tuple(i for i in known[word] if i in w)
-                        if len(hot) < 1_000_000:
+                        if len(hot) < 300_000:
                             hot[word] = ids
                     found.update(ids)
                 out.append(b + sum(w[i] for i in sorted(found)))

@@ -55,7 +55,8 @@ def embed_trigrams(text: Column, dims: int = DIMS) -> Column:
 
 
 def _counts(buckets: Column, dims: int) -> Column:
-    return F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.size(F.filter(buckets, lambda b: b == i)).cast("long"))
+    # The outer array binds the buckets to a variable, so they are computed once a row, not once a dimension.
+    return F.transform(F.array(buckets), lambda k: F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.size(F.filter(k, lambda b: b == i)).cast("long")))[0]
 
 
 def quantize(vector: Column) -> Column:

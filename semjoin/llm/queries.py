@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from semjoin.llm import decontaminate, htmltext, licences, linededup, packing, quality, secrets, sharding, simhash, toxicity
+from semjoin.llm import decontaminate, htmltext, licences, linededup, oracles, packing, quality, secrets, sharding, simhash, toxicity
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -67,4 +67,4 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_simhash_near_dedup, op2_packing, op3_license_scan, op4_quality_rules, op5_decontamination, op6_secret_scan, op7_sharding, op8_toxicity, op9_line_dedup, op10_html_extraction, pipeline)}
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = dict(oracles.ORACLES)

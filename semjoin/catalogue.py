@@ -14,7 +14,9 @@ from semjoin.operators import baselines, classifier, clustering, relational
 from semjoin.operators import cluster_join as cj
 from semjoin.plans import tuning
 from semjoin.plans.advisor import SAMPLE_SEED, JoinOptions, labels_are_valid, resolve
-from semjoin.plans.api import limit_per_a, sem_filter, semantic_join
+from semjoin.plans.api import limit_per_a, sem_extract, sem_filter, semantic_join
+from semjoin.plans.sqlapi import register_classify, register_partners
+from semjoin.plans.sqlapi import sql as semantic_sql
 from semjoin.sources.tables import load, views
 from semjoin.streaming import windows
 from semjoin.workloads import SPECS, TAGS, truth_sql, workload
@@ -657,6 +659,43 @@ def malformed_replies(spark, sf_dir):
     return values(spark, out, "reply string, pairs int, calls int")
 
 
+@query(f"SELECT id, list_extract(string_split(text, ' '), -2) AS value FROM ({SPECS['w3']['a']}) a")
+def sem_extract_noun(spark, sf_dir):
+    w = workload(spark, sf_dir, "w3")
+    return sem_extract(w.a, "which thing is it", model_of(w))
+
+
+@query(truth_sql("w3") + " WHERE a.id < 100 AND b.text <> 'bolt'")
+def sql_semantic_join(spark, sf_dir):
+    w = workload(spark, sf_dir, "w3")
+    w.a.createOrReplaceTempView("items")
+    w.b.createOrReplaceTempView("tags")
+    text = "SELECT items.id AS a_id, tags.id AS b_id FROM items SEMANTIC JOIN tags ON MATCHES('the tag describes the item') WHERE items.id < 100 AND tags.text <> 'bolt'"
+    return semantic_sql(spark, text, model_of(w), JoinOptions(force_strategy="cluster", filter_threshold=0))
+
+
+@query(language_sql("SELECT doc_id AS id, text FROM documents"))
+def sql_function_classify(spark, sf_dir):
+    load(spark, sf_dir, "documents").createOrReplaceTempView("texts")
+    register_classify(spark, "language_of", "which language is the text in", tuple(STOP_WORDS), RulebookModel("language"))
+    return spark.sql("SELECT doc_id AS id, language_of(text) AS label FROM texts")
+
+
+@query(f"SELECT a.id AS id, b.text AS partner FROM ({SPECS['w3']['a']}) a JOIN ({SPECS['w3']['b']}) b ON {SPECS['w3']['on']}")
+def sql_table_function(spark, sf_dir):
+    workload(spark, sf_dir, "w3").a.createOrReplaceTempView("items")
+    register_partners(spark, "tags_of", "the tag describes the item", TAGS, RulebookModel("tag"))
+    return spark.sql("SELECT id, partner FROM items, LATERAL tags_of(text)")
+
+
+query(ORACLES["advisor_decisions_w2"], "advisor_single_call")(_decisions("w2", single_call=True))
+
+
+@query()
+def approximate_counts(spark, sf_dir):
+    return load(spark, sf_dir, "events").groupBy("event_type").agg(F.approx_count_distinct("user_id").alias("users"), F.percentile_approx("value", 0.5).alias("mid"))
+
+
 for _module in (relational, windows):
     QUERIES.update(_module.QUERIES)
     ORACLES.update(_module.ORACLES)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import dataclasses
+import json
 
 from pyspark.sql import DataFrame
 
@@ -73,6 +74,7 @@ class Advisor:
         self.calls: list[tuple] = []
         self.decisions: list[Decision] = []
         self._samples: tuple | None = None
+        self._answers: dict | None = None
 
     def _sample(self) -> tuple:
         if self._samples is None:
@@ -89,10 +91,20 @@ class Advisor:
 
     def decide(self, field: str) -> str:
         override = self.options.force_strategy if field == "strategy" else getattr(self.options, field)
-        raw = None if override is not None else self.ask(field, CHOICES[field])
+        raw = None if override is not None else self._all_at_once(field) if self.options.single_call else self.ask(field, CHOICES[field])
         self.decisions.append(resolve(field, raw, override))
         return self.decisions[-1].value
 
+    def _all_at_once(self, field: str) -> str:
+        """One call for all fields; what it leaves out or garbles falls back field by field."""
+        if self._answers is None:
+            try:
+                got = json.loads(self.ask("all", tuple(x for c in CHOICES.values() for x in c)))
+            except ValueError:
+                got = {}
+            self._answers = got if isinstance(got, dict) else {}
+        return str(self._answers.get(field, ""))
+
     def encoder(self) -> tuple[str, str]:
         """The encoder decided on, and the one that runs for it here."""
         name = self.decide("embedding")

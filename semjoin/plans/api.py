@@ -107,3 +107,11 @@ def sem_filter(rows: DataFrame, question: str, model: LanguageModel, yes: str, l
     """Rows whose label is `yes`."""
     got, _ = classifier.classify(rows, [*labels, UNKNOWN], question, model, batch, "filter")
     return rows.join(got.where(F.col("label") == yes).select("id"), "id", "left_semi")
+
+
+def sem_extract(rows: DataFrame, question: str, model: LanguageModel, batch: int = 25) -> DataFrame:
+    """(id, value): one short text for each row."""
+    from semjoin.plans.invoke import row_prompts, run_prompts
+
+    answers = run_prompts(row_prompts(rows, batch, "extract"), "project", question, model, "extract")
+    return answers.where("row = 'answer'").select(F.col("a_id").alias("id"), F.col("answer").alias("value"))

@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from semjoin.llm.common import components, forget, materialize, small, text_bytes
+from semjoin.llm.similar import similar_links
 
 BITS = 64
 #: A bucket with more distinct fingerprints than this leaves the grouped path for the exploded one.
@@ -154,11 +155,14 @@ def fingerprint_hex(fp) -> F.Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def first_of_group(docs: DataFrame, **params) -> DataFrame:
+def first_of_group(docs: DataFrame, ngram: int = 5, threshold: float = 0.8, **params) -> DataFrame:
     """docs without all but one document of each near-duplicate group: the one with the smallest id.
 
-    Rows with a null id are kept. Rows that repeat the kept id are kept with it. Columns stay as they are.
+    Groups are the components of two kinds of links: those of near_duplicates() (params are its own), and
+    those of shingles of `ngram` words with a Jaccard similarity of `threshold` or more. Rows with a null id
+    are kept. Rows that repeat the kept id are kept with it. Columns stay as they are.
     """
-    groups = near_duplicates(docs.select("doc_id", "text"), **params)
-    gone = materialize(groups.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct(), "gone")
+    texts = docs.select("doc_id", "text")
+    prints = near_duplicates(texts, **params).where("doc_id <> component_id").select(F.col("component_id").alias("a"), F.col("doc_id").alias("b"))
+    gone = materialize(components(prints.union(similar_links(texts, ngram, threshold))).select(F.col("node").alias("__gone")).distinct(), "gone")
     return docs.join(small(gone, 200_000), docs["doc_id"] == gone["__gone"], "left_anti")

@@ -15,12 +15,14 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import forget, materialize, text_bytes, words_of
+from semjoin.llm.common import components, forget, materialize, text_bytes, words_of
 
 #: Blocks of a sketch and minima in a block. A pair at 0.8 shares a block with probability 1 - (1 - 0.8^6)^24 = 0.9993.
 BLOCKS, ROWS = 24, 6
 #: Parts of a large block; each has representatives of its own, so that no text is compared by everybody.
 CELLS = 64
+#: Shingles that one task compares at a time; a block with more is compared part by part.
+MASS = 1_000_000
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
@@ -79,21 +81,75 @@ def shingle_set(words: str, ngram: int = 5) -> Column:
     return F.when(F.size(words) > 0, F.array_distinct(hashes)).otherwise(F.array().cast("array<long>"))
 
 
-def candidates(firsts: DataFrame) -> DataFrame:
-    """Distinct pairs (a < b) of rows (id, keys) that share blocks, without listing a block's pairs.
+def shared_blocks(firsts: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The pairs (a < b) of ids of the blocks that have two rows, and the members (key, id, top) of the larger
+    blocks, top being a block's smallest id."""
+    keys = firsts.select("id", F.explode("keys").alias("key"))
+    blocks = materialize(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("a"), F.max("id").alias("b")).where("n > 1 and a < b"), "blocks")
+    large = keys.join(blocks.where("n > 2").select("key", F.col("a").alias("top")), "key")
+    return blocks.where("n = 2").select("a", "b"), materialize(large, "members")
+
+
+def candidates(two: DataFrame, large: DataFrame) -> DataFrame:
+    """Distinct pairs (a < b) to compare first, without listing a block's pairs.
 
     A block of two is one pair. In a larger one each member meets the smallest and the largest id of its
     part (one of CELLS, by a hash of the id alone, so that blocks with the same members give the same
     pairs), and each part's smallest id meets the smallest one of the block.
     """
-    keys = firsts.select("id", F.explode("keys").alias("key"))
-    blocks = materialize(keys.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("a"), F.max("id").alias("b")).where("n > 1 and a < b"), "blocks")
-    large = keys.join(blocks.where("n > 2").select("key", F.col("a").alias("top")), "key").withColumn("cell", F.pmod(F.xxhash64("id"), F.lit(CELLS)))
-    large = materialize(large, "members")
+    large = large.withColumn("cell", F.pmod(F.xxhash64("id"), F.lit(CELLS)))
     ends = large.groupBy("key", "cell").agg(F.min("id").alias("low"), F.max("id").alias("high"), F.min("top").alias("top"))
     met = large.select("key", "cell", "id").join(ends, ["key", "cell"]).select(F.explode(F.array(F.struct(F.col("id").alias("x"), F.col("low").alias("y")), F.struct(F.col("id").alias("x"), F.col("high").alias("y")))).alias("p")).select("p.x", "p.y")
     pairs = met.union(ends.select(F.col("low").alias("x"), F.col("top").alias("y"))).where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    return blocks.where("n = 2").select("a", "b").union(pairs).distinct()
+    return two.union(pairs).distinct()
+
+
+def joining_links(ids: np.ndarray, roots: np.ndarray, sets: list[np.ndarray], threshold: float) -> list[tuple[int, int]]:
+    """Links between sets of different groups (roots) that connect what all links of `threshold` or more connect.
+
+    Members of the largest group need no turn: every pair across groups has a member of another group.
+    """
+    names, group, count = np.unique(roots, return_inverse=True, return_counts=True)
+    if len(names) < 2:
+        return []
+    sizes = np.array([len(s) for s in sets])
+    tokens = np.unique(np.concatenate(sets), return_inverse=True)[1]
+    starts = np.concatenate([[0], np.cumsum(sizes)[:-1]])
+    mine, out = np.zeros(int(tokens.max()) + 1, bool), []
+    for i in np.nonzero(group != count.argmax())[0]:
+        own = tokens[starts[i] : starts[i] + sizes[i]]
+        mine[own] = True
+        shared = np.add.reduceat(mine[tokens], starts, dtype=np.int64)
+        mine[own] = False
+        # Groups that are joined take one number, so each is joined only once.
+        for j in np.nonzero(shared >= threshold * (sizes + sizes[i] - shared))[0]:
+            if group[i] != group[j]:
+                out.append((int(ids[i]), int(ids[j])))
+                group[group == group[j]] = group[i]
+    return out
+
+
+def remaining_links(large: DataFrame, links: DataFrame, sets: DataFrame, threshold: float, mass: int = MASS) -> DataFrame:
+    """Links (a, b) that the representatives have missed: members of one block that `links` leaves in different groups.
+
+    Only blocks whose members are in two groups or more are looked at, each by a task that returns fewer
+    links than the block has groups. A block of more than `mass` shingles is dealt into parts, and each
+    two parts are one task: rows in a task stay bounded, and every pair of the block meets.
+    """
+    members = large.select("key", "id").join(components(links).select(F.col("node").alias("id"), "root"), "id", "left").withColumn("root", F.coalesce("root", "id"))
+    members = members.join(sets.select(F.col("doc_id").alias("id"), F.size("s").alias("n")), "id")
+    mixed = members.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.sum("n").alias("all")).where("lo < hi")
+    mixed = mixed.select("key", F.ceil(F.col("all") / F.lit(mass)).alias("parts"))
+    part = F.pmod(F.xxhash64("id"), F.col("parts"))
+    dealt = members.select("key", "id", "root").join(mixed, "key").select("key", "id", "root", part.alias("p"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("q"))
+    dealt = dealt.select("key", F.least("p", "q").alias("p"), F.greatest("p", "q").alias("q"), "id", "root")
+    dealt = dealt.join(sets.select(F.col("doc_id").alias("id"), "s"), "id")
+
+    def join(pdf: pd.DataFrame) -> pd.DataFrame:
+        found = joining_links(pdf["id"].to_numpy(), pdf["root"].to_numpy(), [np.asarray(s, np.int64) for s in pdf["s"]], threshold)
+        return pd.DataFrame(found, columns=["a", "b"]).astype("int64")
+
+    return dealt.groupBy("key", "p", "q").applyInPandas(join, "a long, b long")
 
 
 def similar_links(docs: DataFrame, ngram: int = 5, threshold: float = 0.8) -> DataFrame:
@@ -101,14 +157,15 @@ def similar_links(docs: DataFrame, ngram: int = 5, threshold: float = 0.8) -> Da
     whose Jaccard similarity is `threshold` or more, decided on the whole sets.
 
     Rows with null ids have no links; rows without words have equal (empty) sets; repeated ids stand for
-    their first row of each set. Pairs are those of candidates(), so a group is linked through its parts'
-    representatives; a text that is similar to other members alone, not to a representative of any block it
-    is in, stays apart.
+    their first row of each set. The pairs of candidates() come first; remaining_links() then compares what
+    they leave apart in each block, so the components of the links are those of all similar pairs that
+    share a block.
     """
     marked = materialize(sketches(docs.where("doc_id is not null"), ngram), "sketches")
     firsts = materialize(marked.groupBy("set_hash").agg(F.min_by(F.struct("id", "keys"), "id").alias("x")).select("set_hash", "x.id", "x.keys"), "sets")
     equal = marked.select("set_hash", F.col("id").alias("b")).join(firsts.select("set_hash", F.col("id").alias("a")), "set_hash").where("a <> b").select("a", "b")
-    pairs = materialize(candidates(firsts.select("id", "keys")), "candidates")
+    two, large = shared_blocks(firsts.select("id", "keys"))
+    pairs = materialize(candidates(two, large), "candidates")
     wanted = pairs.select(F.col("a").alias("__id")).union(pairs.select("b")).distinct()
     texts = docs.select("doc_id", "text").join(wanted, F.col("doc_id") == F.col("__id"), "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
     sets = materialize(texts.select("doc_id", words_of(F.translate("text", _UPPER, _LOWER)).alias("w")).select("doc_id", shingle_set("w", ngram).alias("s")), "shingles")
@@ -120,5 +177,6 @@ def similar_links(docs: DataFrame, ngram: int = 5, threshold: float = 0.8) -> Da
     shared = F.size(F.array_intersect("sa", "sb"))
     near = both.where(shared >= F.lit(threshold) * (F.col("na") + F.col("nb") - shared)).select("a", "b")
     links = materialize(equal.union(near), "links")
-    forget(marked, firsts, pairs, sets)
-    return links
+    out = materialize(links.union(remaining_links(large, links, sets, threshold)), "links")
+    forget(marked, firsts, large, pairs, sets, links)
+    return out

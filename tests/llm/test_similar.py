@@ -63,6 +63,34 @@ def test_a_large_group_and_very_long_texts(spark):
     assert kept == {0, *range(300, 901), 902}
 
 
+def test_groups_near_the_threshold_equal_brute_force(spark):
+    """Many different texts at about 0.8 in shared blocks: representatives alone would leave some of them apart."""
+    rng = random.Random(5)
+    texts = {}
+    for g in range(3):
+        base = [f"w{rng.randrange(3000)}" for _ in range(120)]
+        texts |= {100 * g + i: edited(rng, base, rng.choice((1, 2, 2, 3))) for i in range(90)}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    found = {k: k for k in texts} | {r.node: r.root for r in simhash.components(similar.similar_links(docs)).collect()}
+    want = slow_groups(texts)
+    assert len(set(want.values())) > 3 and found == want
+
+
+def test_remaining_links_in_parts_and_whole(spark):
+    """From no links at all, one block's members end in the groups of brute force, however the block is dealt."""
+    rng = random.Random(6)
+    base = [f"w{rng.randrange(3000)}" for _ in range(100)]
+    texts = {i: edited(rng, base, rng.choice((1, 2, 3))) for i in range(60)}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    sets = docs.select("doc_id", similar.shingle_set(similar.words_of(docs["text"])).alias("s"))
+    large = docs.selectExpr("7L as key", "doc_id as id")
+    none, want = spark.createDataFrame([], "a long, b long"), slow_groups(texts)
+    for mass in (10**6, 1500):
+        links = similar.remaining_links(large, none, sets, 0.8, mass)
+        assert {k: k for k in texts} | {r.node: r.root for r in simhash.components(links).collect()} == want
+        assert mass < 10**6 or links.count() == len(texts) - len(set(want.values()))
+
+
 def test_empty_table(spark):
     docs = spark.createDataFrame([], "doc_id long, text string")
     assert similar.similar_links(docs).count() == 0 and simhash.first_of_group(docs).count() == 0

@@ -215,6 +215,27 @@ def label_groups_count(spark, sf_dir):
     return semantic_join(w.a, w.b, w.predicate, model_of(w), JoinOptions(force_strategy="label", labels=tuple(STOP_WORDS))).groups()
 
 
+def _groups_all(name: str, rule: str, a: str, b: str, label, **options) -> None:
+    """The label join of whole tables, as groups. a and b: SQL of (id, text); label: their (id, label) in SQL."""
+    count = lambda src: f"SELECT label, count(*) AS n FROM ({src}) x GROUP BY 1"
+
+    def run(spark, sf_dir):
+        views(spark, sf_dir)
+        sides = [spark.sql(x).selectExpr("CAST(id AS BIGINT) AS id", "text") for x in (a, b)]
+        return semantic_join(*sides, SPECS[name]["predicate"], RulebookModel(rule), JoinOptions(force_strategy="label", buckets=64, **options)).groups()
+
+    query(f"SELECT a.label AS label, a.n AS n_a, b.n AS n_b, a.n * b.n AS n_pairs FROM ({count(label[0])}) a JOIN ({count(label[1])}) b USING (label) WHERE label <> '{UNKNOWN}'", f"label_groups_{rule}_all")(run)
+
+
+_HALF = "SELECT doc_id AS id, text FROM documents WHERE doc_id % 2 = {}"
+_PARTS_ALL = "SELECT p_partkey AS id, concat(p_name, ' ', p_brand) AS text FROM part"
+_HALVES = _HALF.format(0), _HALF.format(1)
+_groups_all("w1c", "language", *_HALVES, [language_sql(x) for x in _HALVES], labels=tuple(STOP_WORDS))
+_groups_all("w1", "quality", *_HALVES, [f"SELECT id, {quality_sql('text')} AS label FROM ({x}) h" for x in _HALVES], labels=("low", "high"))
+_groups_all("w1b", "toxic", *_HALVES, [f"SELECT id, {toxic_sql('text')} AS label FROM ({x}) h" for x in _HALVES], labels=("abusive", "civil"))
+_groups_all("w3", "tag", _PARTS_ALL, SPECS["w3"]["b"], [f"SELECT a.id AS id, min(b.text) AS label FROM ({_PARTS_ALL}) a JOIN ({SPECS['w3']['b']}) b ON {SPECS['w3']['on']} GROUP BY a.id", f"SELECT id, text AS label FROM ({SPECS['w3']['b']}) t"], label_table=True)
+
+
 def _segment(salt: int):
     def run(spark, sf_dir):
         c = load(spark, sf_dir, "customer").select(F.col("c_custkey").alias("id"), F.col("c_mktsegment").alias("label"))

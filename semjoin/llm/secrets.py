@@ -6,6 +6,7 @@ import base64
 import binascii
 import bz2
 import hashlib
+import itertools
 import lzma
 import re
 import zlib
@@ -28,6 +29,8 @@ _PERCENT = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 _ESCAPE = re.compile(r"(?:\\u[0-9A-Fa-f]{4}|\\x[0-9A-Fa-f]{2}|\\U[0-9A-Fa-f]{8}|\\u\{[0-9A-Fa-f]{1,6}\}|&#[0-9]{1,7};|&#[xX][0-9A-Fa-f]{1,6};)+")
 _ONE = re.compile(r"\\u\{([0-9A-Fa-f]+)\}|\\[uUx]([0-9A-Fa-f]+)|&#[xX]([0-9A-Fa-f]+);|&#([0-9]+);")
 _BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+_WRAPPED = re.compile(r"[A-Za-z0-9+/_-]{16,}+(?:[ \t]*+\r?\n[ \t]*+[A-Za-z0-9+/_-]++)++={0,2}")
+_LINE, _BREAK = re.compile(r"[A-Za-z0-9+/_=-]+"), re.compile(r"[ \t\r\n]+")
 #: Unpacked layers are scanned in pieces of this many bytes that overlap, so memory stays bounded.
 PIECE, OVERLAP = 1 << 23, 1 << 12
 
@@ -106,77 +109,180 @@ def _escape(s: str) -> str | None:
     return "".join(map(chr, codes)).encode("utf-16-le", "surrogatepass").decode("utf-16-le", "replace")
 
 
-def _pieces(feed, data: bytes) -> Iterator[bytes]:
-    """What an incremental decompressor makes of data, a bounded piece at a time; stops at damage."""
-    try:
-        while True:
-            out = feed.decompress(data, PIECE)
-            if out:
-                yield out
-            data = getattr(feed, "unconsumed_tail", b"")
-            if feed.eof or (not out and not data):
-                return
-    except (OSError, EOFError, ValueError, zlib.error, lzma.LZMAError):
-        return
+class _Zstd:
+    """A frame of zstd, fed in slices so short that what comes out at once stays bounded."""
 
+    SLICE = 256
 
-def _zstd_pieces(data: bytes) -> Iterator[bytes]:
-    try:
-        with zstandard.ZstdDecompressor(max_window_size=1 << 27).stream_reader(data) as reader:
-            while out := reader.read(PIECE):
-                yield out
-    except zstandard.ZstdError:
-        return
+    def __init__(self):
+        self.feed, self.left, self.eof, self.unused_data = zstandard.ZstdDecompressor(max_window_size=1 << 27).decompressobj(), b"", False, b""
+
+    @property
+    def needs_input(self) -> bool:
+        return not self.left
+
+    def decompress(self, data: bytes, _most: int) -> bytes:
+        view, at, out = memoryview(self.left + data if self.left else data), 0, []
+        size = 0
+        while at < len(view) and size < PIECE and not self.feed.eof:
+            got = self.feed.decompress(bytes(view[at : at + self.SLICE]))
+            out.append(got)
+            size, at = size + len(got), at + self.SLICE
+        self.left = bytes(view[at:])
+        if self.feed.eof:
+            self.eof, self.unused_data, self.left = True, self.feed.unused_data + self.left, b""
+        return b"".join(out)
+
+
+#: Formats: how to start a decompressor.
+_FEEDS = {"gzip": lambda: zlib.decompressobj(31), "zlib": zlib.decompressobj, "bz2": bz2.BZ2Decompressor, "xz": lambda: lzma.LZMADecompressor(memlimit=1 << 27), "zstd": _Zstd}
+_HEAD = 6
 
 
-def unpacked(data: bytes) -> tuple[str, Iterator[bytes]] | None:
-    """Name and contents of compressed data, by its first bytes."""
+def packing_of(data: bytes) -> str | None:
+    """Name of the compression of data, by its first bytes."""
     if data[:2] == b"\x1f\x8b":
-        return "gzip", _pieces(zlib.decompressobj(31), data)
+        return "gzip"
     if data[:1] == b"\x78" and len(data) > 2 and (data[0] << 8 | data[1]) % 31 == 0:
-        return "zlib", _pieces(zlib.decompressobj(), data)
+        return "zlib"
     if data[:3] == b"BZh":
-        return "bz2", _pieces(bz2.BZ2Decompressor(), data)
+        return "bz2"
     if data[:6] == b"\xfd7zXZ\x00":
-        return "xz", _pieces(lzma.LZMADecompressor(memlimit=1 << 27), data)
+        return "xz"
     if data[:4] == b"\x28\xb5\x2f\xfd":
-        return "zstd", _zstd_pieces(data)
+        return "zstd"
     return None
 
 
-def _texts(data: bytes, how: str, depth: int = 0) -> Iterator[tuple[str, str]]:
+def _gathered(pieces: Iterator[bytes]) -> Iterator[bytes]:
+    """The same bytes in pieces of PIECE or more, but for the last one."""
+    held, size = [], 0
+    for piece in pieces:
+        held.append(piece)
+        size += len(piece)
+        if size >= PIECE:
+            yield b"".join(held)
+            held, size = [], 0
+    if size:
+        yield b"".join(held)
+
+
+class _Unpacked:
+    """What compressed pieces of bytes unpack to, over all members in a row, a bounded piece at a time; ends at damage.
+
+    After that, `rest` has the pieces behind the last member."""
+
+    def __init__(self, name: str, source: Iterator[bytes]):
+        self.name, self.source, self.rest, self.empty = name, source, iter(()), True
+
+    def __iter__(self) -> Iterator[bytes]:
+        feed, data = _FEEDS[self.name](), next(self.source, b"")
+        try:
+            while True:
+                out = feed.decompress(data, PIECE)
+                if out:
+                    self.empty = False
+                    yield out
+                if feed.eof:
+                    self.empty = False
+                    data = feed.unused_data.lstrip(b"\0")
+                    while len(data) < _HEAD and (more := next(self.source, b"")):
+                        data = (data + more).lstrip(b"\0")
+                    if packing_of(data) != self.name:
+                        self.rest = itertools.chain([data] if data else [], self.source)
+                        return
+                    feed = _FEEDS[self.name]()
+                    continue
+                data = getattr(feed, "unconsumed_tail", b"")
+                if not data and (feed.needs_input if hasattr(feed, "needs_input") else len(out) < PIECE):
+                    data = next(self.source, b"")
+                    if not data:
+                        return
+        except (OSError, EOFError, ValueError, zlib.error, lzma.LZMAError, zstandard.ZstdError):
+            return
+
+
+def _texts(data: bytes, how: str) -> Iterator[tuple[str, str]]:
     """Texts in decoded bytes: the bytes as text, or what they unpack to, which may be packed again."""
-    packed = unpacked(data)
-    if packed is None:
+    if packing_of(data) is None:
         try:
-            text = data.decode("utf-8") if depth == 0 else data.decode("utf-8", "replace")
+            text = data.decode("utf-8")
         except UnicodeDecodeError:
             return
-        if depth or sum(c.isprintable() or c in "\t\r\n" for c in text) >= 0.95 * len(text):
+        if sum(c.isprintable() or c in "\t\r\n" for c in text) >= 0.95 * len(text):
             yield text, how
         return
-    tail, first = b"", True
-    for piece in packed[1]:
-        if first and depth < 32 and unpacked(piece):
-            inner = b"".join([piece, *packed[1]]) if len(piece) < PIECE else piece
-            yield from _texts(inner, f"{how}+{packed[0]}", depth + 1)
-            return
-        yield (tail + piece).decode("utf-8", "replace"), f"{how}+{packed[0]}"
-        tail, first = piece[-OVERLAP:], False
+    yield from _unpacked_texts(iter([data]), how)
+
+
+def _unpacked_texts(source: Iterator[bytes], how: str, depth: int = 0) -> Iterator[tuple[str, str]]:
+    """Texts in pieces of bytes, each stream unpacked as it comes. What a damaged or cut stream gave counts;
+    bytes behind a stream, or that are none after all, are looked at in the same way."""
+    pieces = _gathered(source)
+    while head := next(pieces, b""):
+        name = packing_of(head) if depth < 32 else None
+        if name is not None:
+            stream = _Unpacked(name, itertools.chain([head], pieces))
+            yield from _unpacked_texts(iter(stream), f"{how}+{name}", depth + 1)
+            if not stream.empty:
+                pieces = _gathered(stream.rest)
+                continue
+        tail = b""
+        for piece in itertools.chain([head], pieces):
+            whole = tail + piece
+            yield whole.decode("utf-8", "replace"), how
+            tail = whole[-OVERLAP:]
+        return
+
+
+def _from_base64(body: str) -> bytes | None:
+    body = body.rstrip("=")
+    if len(body) % 4 == 1:
+        return None
+    try:
+        return base64.b64decode(body.replace("-", "+").replace("_", "/") + "=" * (-len(body) % 4), validate=True)
+    except (binascii.Error, ValueError):
+        return None
+
+
+def _wrapped(text: str) -> Iterator[list[tuple[int, int]]]:
+    """Base64 over several lines, as lists of the spans that could be one value, the likeliest first.
+
+    Lines of one width belong together, with the line before them, which may be of another width as something can stand
+    before the value, and with a shorter line after them. Either of the two may be foreign."""
+    for m in _WRAPPED.finditer(text):
+        lines = [(m.start() + x.start(), m.start() + x.end()) for x in _LINE.finditer(m[0])]
+        size, i = [b - a for a, b in lines], 0
+        while i + 1 < len(lines):
+            j = i + 1
+            while j + 1 < len(lines) and size[j + 1] == size[i + 1]:
+                j += 1
+            ends = [j + 1, j] if j + 1 < len(lines) and size[j + 1] < size[j] else [j]
+            starts = [i] if size[i] == size[i + 1] else [i, i + 1]
+            yield [(lines[s][0], lines[e][1]) for s in starts for e in ends if e > s]
+            i = j + 1
 
 
 def _unbase64(layer: Layer) -> Iterator[Layer]:
     for m in _BASE64.finditer(layer.text):
-        body = m[0].rstrip("=")
-        if len(body) % 4 == 1:
-            continue
-        try:
-            data = base64.b64decode(body.replace("-", "+").replace("_", "/") + "=" * (-len(body) % 4), validate=True)
-        except (binascii.Error, ValueError):
-            continue
-        for text, how in _texts(data, "base64"):
-            if text:
-                yield Layer(text, layer, [0], [(*m.span(), True)], how)
+        if (data := _from_base64(m[0])) is not None:
+            for text, how in _texts(data, "base64"):
+                if text:
+                    yield Layer(text, layer, [0], [(*m.span(), True)], how)
+    if "\n" not in layer.text:
+        return
+    for spans in _wrapped(layer.text):
+        done = set()
+        for a, b in spans:
+            if a in done:
+                continue
+            data, found = _from_base64(_BREAK.sub("", layer.text[a:b])), False
+            for text, how in _texts(data, "base64") if data is not None else ():
+                if text:
+                    found = True
+                    yield Layer(text, layer, [0], [(a, b, True)], how)
+            if found:
+                done.add(a)
 
 
 def layers(text: str) -> Iterator[Layer]:

@@ -18,7 +18,7 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines that an earlier line repeats, exactly or within one edit, are cut; emptied documents go."""
     with stage_scope(docs):
-        return linededup.without_lines(docs, linededup.duplicate_lines(docs))
+        return linededup.without_lines(docs, linededup.duplicate_lines(docs, near_chars=linededup.NEAR_CHARS, every=True))
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -16,6 +16,8 @@ _MIX1, _MIX2, _BASE = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x2545F4914F6CDD1D
 _BASE_INV = pow(_BASE, -1, 1 << 64)
 #: Broadcast of line keys only up to this many rows of 24 bytes.
 BROADCAST_ROWS = 200_000
+#: Lines of so many code points are compared for one edit, however few words they have.
+NEAR_CHARS = 20
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -66,12 +68,15 @@ def within_one_edit(a: str, b: str) -> bool:
     return a[i + 1 :] == b[i + 1 :] if len(a) == len(b) else (a[i:] == b[i + 1 :] if len(a) < len(b) else a[i + 1 :] == b[i:])
 
 
-def lines_of(docs: DataFrame, id_col: str, text_col: str, min_words: int) -> DataFrame:
-    """(doc_id, line_no from 0, line) of the lines with min_words words or more, white space at their ends cut."""
+def lines_of(docs: DataFrame, id_col: str, text_col: str, min_words: int, near_chars: int | None = None, every: bool = False) -> DataFrame:
+    """(doc_id, line_no from 0, line, near) of the lines, white space at their ends cut: those with min_words
+    words or near_chars code points, which are near, and with `every` all others that are not blank."""
     cut = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("line_no", "line"))
-    cut = cut.select("doc_id", "line_no", F.trim("line", F.lit(SPACE)).alias("line"))
+    cut = cut.select("doc_id", "line_no", F.trim("line", F.lit(SPACE)).alias("line")).where("line <> ''")
     space = SPACE_RUN[1:-2]
-    return cut.where(F.col("line").rlike(f"^[^{space}]+(?:[{space}]++[^{space}]++){{{max(min_words, 1) - 1}}}"))
+    near = F.col("line").rlike(f"^[^{space}]+(?:[{space}]++[^{space}]++){{{max(min_words, 1) - 1}}}")
+    near = near if near_chars is None else (F.length("line") >= near_chars) | near
+    return cut.withColumn("near", near) if every else cut.where(near).withColumn("near", F.lit(True))
 
 
 #: Blocks of the first filter, which all lines pass through, and of the second one for the lines that are left.
@@ -79,9 +84,10 @@ COARSE, FINE = 2, 16
 
 
 def _keyed(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    """The line replaced by its coarse block keys."""
+    """The line replaced by its coarse block keys, which are 0 if it is not near."""
     for pdf in batches:
-        keys = np.array([block_keys(x, COARSE) for x in pdf["line"]], np.uint64).reshape(-1, 2 * COARSE).view(np.int64)
+        none = [0] * (2 * COARSE)
+        keys = np.array([block_keys(x, COARSE) if near else none for x, near in zip(pdf["line"], pdf["near"], strict=True)], np.uint64).reshape(-1, 2 * COARSE).view(np.int64)
         yield pdf.drop(columns="line").assign(**{f"k{i}": keys[:, i] for i in range(2 * COARSE)})
 
 
@@ -110,10 +116,11 @@ def _variant_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             yield pd.DataFrame({"h": np.full(len(key), h), "key": key, "kind": kind})
 
 
-def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = 5) -> DataFrame:
+def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = 5, near_chars: int | None = None, every: bool = False) -> DataFrame:
     """Rows (doc_id, line_no, keeper_doc_id, keeper_line_no, edits): each line that an earlier line repeats.
 
-    A line counts if it has min_words words; white space at its ends does not count. Earlier means a
+    A line counts if it has min_words words or near_chars code points (for scripts without spaces); with `every`, all
+    other lines that are not blank count too, but for equal lines only. White space at its ends does not count. Earlier means a
     smaller (doc_id, line_no). A line goes if an equal line is earlier (edits 0), or if the earliest of the
     lines within one edit (a code point inserted, deleted or replaced) is earlier than all lines equal to
     it (edits 1); the keeper is that earliest line. Links are direct, not chained.
@@ -129,20 +136,21 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     Extra columns are not read.
     """
     spots = F.struct("doc_id", "line_no")
-    lines = lines_of(docs, id_col, text_col, min_words)
-    hashed = lines.select("doc_id", "line_no", F.xxhash64("line").alias("h"), F.xxhash64("line", F.lit("second")).alias("h2"), "line")
+    lines = lines_of(docs, id_col, text_col, min_words, near_chars, every)
+    hashed = lines.select("doc_id", "line_no", "near", F.xxhash64("line").alias("h"), F.xxhash64("line", F.lit("second")).alias("h2"), "line")
     names = [f"k{i}" for i in range(2 * COARSE)]
     head = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hashed.drop("line").schema)
     seen = materialize(hashed.mapInPandas(_keyed, head + "".join(f", {k} long" for k in names)), "lines")
-    classes = materialize(seen.groupBy("h", "h2").agg(F.min(spots).alias("first"), F.count(F.lit(1)).alias("n"), *[F.min(k).alias(k) for k in names]), "classes")
-    seen, keys = seen.drop(*names), classes.select("h", F.posexplode(F.array(*names)).alias("at", "key"))
+    classes = materialize(seen.groupBy("h", "h2").agg(F.min(spots).alias("first"), F.count(F.lit(1)).alias("n"), F.bool_or("near").alias("near"), *[F.min(k).alias(k) for k in names]), "classes")
+    seen, keys = seen.drop("near", *names), classes.where("near").select("h", F.posexplode(F.array(*names)).alias("at", "key"))
     classes = classes.drop(*names)
+    near_classes = classes.where("near")
 
     meet = materialize(_meeting(keys.select("h", "key", (F.col("at") < COARSE).alias("own"))), "meet")
-    at = materialize(classes.join(small(meet, BROADCAST_ROWS), "h", "left_semi").select(F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "h", "h2"), "survivors")
+    at = materialize(near_classes.join(small(meet, BROADCAST_ROWS), "h", "left_semi").select(F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "h", "h2"), "survivors")
     holders = materialize(at.select(F.col("doc_id").alias("__id")).distinct(), "holders")
     held = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(small(holders, BROADCAST_ROWS), F.col("doc_id") == F.col("__id"), "left_semi")
-    again = lines_of(held, "doc_id", "text", min_words).withColumn("h", F.xxhash64("line")).withColumn("h2", F.xxhash64("line", F.lit("second")))
+    again = lines_of(held, "doc_id", "text", min_words, near_chars).withColumn("h", F.xxhash64("line")).withColumn("h2", F.xxhash64("line", F.lit("second")))
     texts = again.join(small(at, BROADCAST_ROWS), ["doc_id", "line_no", "h", "h2"]).select("h", "h2", "line", spots.alias("first")).dropDuplicates(["h", "h2"])
     texts = materialize(texts, "texts")
     fine = materialize(_meeting(materialize(texts.select("h", "line").mapInPandas(_fine_rows, "h long, key long, own boolean"), "fine")), "meet")

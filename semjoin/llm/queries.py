@@ -52,7 +52,7 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return linededup.duplicate_lines(table(spark, sf_dir, "documents"))
+    return linededup.duplicate_lines(table(spark, sf_dir, "documents"), near_chars=linededup.NEAR_CHARS, every=True)
 
 
 def op10_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:

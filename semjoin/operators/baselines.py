@@ -64,7 +64,9 @@ def adaptive_block_join(a: DataFrame, b: DataFrame, predicate: str, model, token
     """(matches, calls, rounds): blocks sized for a budget at an estimated selectivity.
 
     A block whose answer overflows the output the estimate allows is dropped and done again in blocks
-    for a higher estimate; the others stand. With restart everything is done again. rounds lists
+    for a higher estimate; the others stand. With restart everything is done again. At an estimate of 1, and after
+    max_rounds at the latest, blocks that still overflow are halved each round until none is left; a single pair that
+    overflows raises. rounds lists
     (round, selectivity, block of A, block of B, calls, overflows). `model` maps an output limit to a model.
     """
     stats = measure(a, b, predicate)
@@ -72,8 +74,9 @@ def adaptive_block_join(a: DataFrame, b: DataFrame, predicate: str, model, token
     done: list[DataFrame] = []
     calls: list[DataFrame] = []
     rounds = []
-    for number in range(max_rounds):
-        ba, bb = choose_blocks(stats, token_budget, selectivity)
+    halved = 0
+    for number in itertools.count():
+        ba, bb = (max(1, x >> halved) for x in choose_blocks(stats, token_budget, selectivity))
         allowed = max(4, math.ceil(selectivity * ba * bb * stats.to) + 2)
         answers = run_prompts(block_prompts(a, b, None, (ba, bb), f"adaptive{number}") if pending is None else _tiled(pending, ba, bb, f"adaptive{number}"), "match", predicate, model(allowed), "match", split=False)
         calls.append(calls_of(answers))
@@ -85,12 +88,15 @@ def adaptive_block_join(a: DataFrame, b: DataFrame, predicate: str, model, token
             done.append(pairs_of(answers))
         if not n_over:
             break
+        if ba == bb == 1 and halved:
+            raise RuntimeError(f"{n_over} single pairs overflow the output allowed")
         compared, matched = calls[-1].where("status <> 'overflow'").agg(F.sum(F.col("n_a") * F.col("n_b"))).first()[0] or 0, pairs_of(answers).count()
         seen = matched / compared if compared else 0.0
         if not restart:
             prompts = block_prompts(a, b, None, (ba, bb), f"adaptive{number}") if pending is None else _tiled(pending, ba, bb, f"adaptive{number}")
             pending = prompts.join(F.broadcast(over), "call_id").select("a", "b")
-        selectivity = min(1.0, max(growth * selectivity, seen))
+        halved += selectivity >= 1.0
+        selectivity = 1.0 if number + 2 > max_rounds else min(1.0, max(growth * selectivity, seen))
     out = done[0]
     for x in done[1:]:
         out = out.unionByName(x)

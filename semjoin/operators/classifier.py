@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -25,6 +27,13 @@ def classify(rows: DataFrame, labels: list[str], predicate: str, model: Language
     return out, calls_of(answers)
 
 
+def classify_multi(rows: DataFrame, labels: list[str], predicate: str, model: LanguageModel, batch: int = 25, side: str = "a", dedupe: bool = False, buckets: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """((id, label), calls): a line for each label that a row has, each label asked by itself."""
+    asked = [classify(rows, [x, UNKNOWN], predicate, model, batch, f"{side}{i}", dedupe, buckets) for i, x in enumerate(x for x in labels if x != UNKNOWN)]
+    out, calls = (functools.reduce(DataFrame.unionByName, x) for x in zip(*asked, strict=True))
+    return out.where(F.col("label") != UNKNOWN), calls
+
+
 def keep_listed(label: Column, labels: list[str]) -> Column:
     """A label outside the list counts as unknown."""
     return F.when(label.isin([x for x in labels if x != UNKNOWN]), label).otherwise(F.lit(UNKNOWN))

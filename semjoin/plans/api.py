@@ -57,17 +57,22 @@ class JoinResult:
 
 def semantic_join(a: DataFrame, b: DataFrame, predicate: str, model: LanguageModel, options: JoinOptions = JoinOptions()) -> JoinResult:
     """Join a and b (id long, text string) on a sentence. Overrides come before calls, calls before fallbacks;
-    a label list that cannot be valid sends the join to clusters."""
+    a label list that cannot be valid sends the join to clusters, and so does a label table of more than
+    max_labels labels, even if the label join is forced. With multi_label each label is asked by itself."""
     advisor = Advisor(a, b, predicate, model, options)
     strategy = advisor.decide("strategy")
     labels: list[str] = []
     if strategy == "label":
         if options.label_table:
-            labels = sorted(r["text"] for r in b.select("text").distinct().limit(options.max_labels + 1).collect()) + [UNKNOWN]
+            known = b.select("text").where(F.col("text") != UNKNOWN).distinct()
+            labels = sorted(r["text"] for r in (known if options.multi_label else known.limit(options.max_labels + 1)).collect()) + [UNKNOWN]
             advisor.decisions.append(Decision("labels", None, ",".join(labels), "advisor"))
         else:
             labels = advisor.labels()
-        if options.force_strategy is None and not labels_are_valid(labels, options.label_sample + 1, max_labels=options.max_labels):
+        if options.label_table and not options.multi_label and len(labels) - 1 > options.max_labels:
+            advisor.decisions.append(Decision("strategy", f"more than {options.max_labels} labels", "cluster", "fallback"))
+            strategy = "cluster"
+        elif options.force_strategy is None and not labels_are_valid(labels, options.label_sample + 1, max_labels=options.max_labels):
             advisor.decisions.append(Decision("strategy", ",".join(labels), "cluster", "fallback"))
             strategy = "cluster"
     expected = estimate(a, b, predicate, strategy, options)
@@ -88,13 +93,15 @@ def semantic_join(a: DataFrame, b: DataFrame, predicate: str, model: LanguageMod
 
 
 def _label_join(a: DataFrame, b: DataFrame, labels: list[str], predicate: str, model: LanguageModel, options: JoinOptions) -> dict:
-    la, calls = classifier.classify(a, labels, predicate, model, options.classify_batch, "a", options.dedupe_text, options.buckets)
+    classify = classifier.classify_multi if options.multi_label else classifier.classify
+    la, calls = classify(a, labels, predicate, model, options.classify_batch, "a", options.dedupe_text, options.buckets)
     if options.label_table:
         lb = b.select("id", classifier.keep_listed(F.col("text"), labels).alias("label"))
     else:
-        lb, more = classifier.classify(b, labels, predicate, model, options.classify_batch, "b", options.dedupe_text, options.buckets)
+        lb, more = classify(b, labels, predicate, model, options.classify_batch, "b", options.dedupe_text, options.buckets)
         calls = calls.unionByName(more)
-    return {"pairs": classifier.label_equi_join(la, lb).select("a_id", "b_id"), "calls": calls, "labelled": (la, lb)}
+    pairs = classifier.label_equi_join(la, lb).select("a_id", "b_id")
+    return {"pairs": pairs.distinct() if options.multi_label else pairs, "calls": calls, "labelled": (la, lb)}
 
 
 def limit_per_a(pairs: DataFrame, k: int) -> DataFrame:

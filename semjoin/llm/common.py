@@ -75,6 +75,39 @@ def _delete(spark: SparkSession, path: str) -> None:
     at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
 
 
+def packed(docs: DataFrame, *names: str) -> DataFrame:
+    """The named columns of docs and each whole row as the column __row: helper columns beside it cannot clash with
+    columns of docs, and select("__row.*") gives the rows back as they were."""
+    return docs.select(F.struct("*").alias("__row"), *names)
+
+
+def content_key(id_col: str | Column, text_col: str | Column) -> list[Column]:
+    """__id, __h1, __h2: the id and 128 bits of the text. Rows of equal key are equal in id and text; rows that share
+    an id alone are told apart. A null text counts as empty."""
+    text = text_bytes(text_col)
+    return [(F.col(id_col) if isinstance(id_col, str) else id_col).alias("__id"), F.xxhash64(text).alias("__h1"), F.xxhash64(text, F.lit("second")).alias("__h2")]
+
+
+KEY = ["__id", "__h1", "__h2"]
+
+
+def same_key(left: DataFrame, right: DataFrame) -> Column:
+    """Join condition of equal content keys; null ids are equal."""
+    return left["__id"].eqNullSafe(right["__id"]) & (left["__h1"] == right["__h1"]) & (left["__h2"] == right["__h2"])
+
+
+def keyed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """packed() rows with their content key."""
+    rows = packed(docs)
+    return rows.select("__row", *content_key(F.col("__row")[id_col], F.col("__row")[text_col]))
+
+
+def without_rows(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs without the rows whose content key is in gone (KEY); columns stay as they are."""
+    rows = keyed(docs, id_col, text_col)
+    return rows.join(small(gone, 200_000), same_key(rows, gone), "left_anti").select("__row.*")
+
+
 def small(df: DataFrame, max_rows: int) -> DataFrame:
     """df with a broadcast hint if it has at most max_rows rows (counted), else unchanged, for a shuffle join."""
     return F.broadcast(df) if df.limit(max_rows + 1).count() <= max_rows else df

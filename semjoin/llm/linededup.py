@@ -7,10 +7,10 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import SPACE, SPACE_RUN, forget, materialize, small
+from semjoin.llm.common import SPACE, SPACE_RUN, forget, materialize, packed, small
 
 _MIX1, _MIX2, _BASE = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x2545F4914F6CDD1D
 _BASE_INV = pow(_BASE, -1, 1 << 64)
@@ -68,11 +68,18 @@ def within_one_edit(a: str, b: str) -> bool:
     return a[i + 1 :] == b[i + 1 :] if len(a) == len(b) else (a[i:] == b[i + 1 :] if len(a) < len(b) else a[i + 1 :] == b[i:])
 
 
-def lines_of(docs: DataFrame, id_col: str, text_col: str, min_words: int, near_chars: int | None = None, every: bool = False) -> DataFrame:
+def row_part(text: str | Column) -> Column:
+    """What sets the line numbers of a text apart from those of other texts of the same id: 32 bits of a hash over
+    31 bits of zeros."""
+    return F.shiftleft(F.xxhash64(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit(""))).bitwiseAND(F.lit(0xFFFFFFFF)), 31)
+
+
+def lines_of(docs: DataFrame, id_col: str, text_col: str, min_words: int, near_chars: int | None = None, every: bool = False, by_text: bool = False) -> DataFrame:
     """(doc_id, line_no from 0, line, near) of the lines, white space at their ends cut: those with min_words
-    words or near_chars code points, which are near, and with `every` all others that are not blank."""
-    cut = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("line_no", "line"))
-    cut = cut.select("doc_id", "line_no", F.trim("line", F.lit(SPACE)).alias("line")).where("line <> ''")
+    words or near_chars code points, which are near, and with `every` all others that are not blank. With by_text,
+    line_no has the row_part() of the text in front."""
+    cut = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), (row_part(text_col) if by_text else F.lit(0)).alias("part"), F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("line_no", "line"))
+    cut = cut.select("doc_id", (F.col("part") + F.col("line_no")).alias("line_no"), F.trim("line", F.lit(SPACE)).alias("line")).where("line <> ''")
     space = SPACE_RUN[1:-2]
     near = F.col("line").rlike(f"^[^{space}]+(?:[{space}]++[^{space}]++){{{max(min_words, 1) - 1}}}")
     near = near if near_chars is None else (F.length("line") >= near_chars) | near
@@ -116,7 +123,7 @@ def _variant_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             yield pd.DataFrame({"h": np.full(len(key), h), "key": key, "kind": kind})
 
 
-def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = 5, near_chars: int | None = None, every: bool = False) -> DataFrame:
+def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_words: int = 5, near_chars: int | None = None, every: bool = False, by_text: bool = False) -> DataFrame:
     """Rows (doc_id, line_no, keeper_doc_id, keeper_line_no, edits): each line that an earlier line repeats.
 
     A line counts if it has min_words words or near_chars code points (for scripts without spaces); with `every`, all
@@ -132,11 +139,12 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     to give, and hot keys stay linear. Pairs are verified on the texts.
 
     Rows with null ids are left alone and keep nothing. Rows of equal id are one document: the same
-    line number of both is kept or goes together. Null and empty texts and empty tables have no lines.
+    line number of both is kept or goes together; with by_text that holds for rows of equal id and text alone, as
+    line numbers then tell texts apart (see lines_of). Null and empty texts and empty tables have no lines.
     Extra columns are not read.
     """
     spots = F.struct("doc_id", "line_no")
-    lines = lines_of(docs, id_col, text_col, min_words, near_chars, every)
+    lines = lines_of(docs, id_col, text_col, min_words, near_chars, every, by_text)
     hashed = lines.select("doc_id", "line_no", "near", F.xxhash64("line").alias("h"), F.xxhash64("line", F.lit("second")).alias("h2"), "line")
     names = [f"k{i}" for i in range(2 * COARSE)]
     head = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in hashed.drop("line").schema)
@@ -150,7 +158,7 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     at = materialize(near_classes.join(small(meet, BROADCAST_ROWS), "h", "left_semi").select(F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "h", "h2"), "survivors")
     holders = materialize(at.select(F.col("doc_id").alias("__id")).distinct(), "holders")
     held = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")).join(small(holders, BROADCAST_ROWS), F.col("doc_id") == F.col("__id"), "left_semi")
-    again = lines_of(held, "doc_id", "text", min_words, near_chars).withColumn("h", F.xxhash64("line")).withColumn("h2", F.xxhash64("line", F.lit("second")))
+    again = lines_of(held, "doc_id", "text", min_words, near_chars, by_text=by_text).withColumn("h", F.xxhash64("line")).withColumn("h2", F.xxhash64("line", F.lit("second")))
     texts = again.join(small(at, BROADCAST_ROWS), ["doc_id", "line_no", "h", "h2"]).select("h", "h2", "line", spots.alias("first")).dropDuplicates(["h", "h2"])
     texts = materialize(texts, "texts")
     fine = materialize(_meeting(materialize(texts.select("h", "line").mapInPandas(_fine_rows, "h long, key long, own boolean"), "fine")), "meet")
@@ -179,12 +187,18 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return gone.select("doc_id", "line_no", kept["doc_id"].alias("keeper_doc_id"), kept["line_no"].alias("keeper_line_no"), F.when(F.col("keep").isNull(), 0).otherwise(1).alias("edits")).distinct()
 
 
-def without_lines(docs: DataFrame, gone: DataFrame) -> DataFrame:
+def without_lines(docs: DataFrame, gone: DataFrame, by_text: bool = False) -> DataFrame:
     """docs with the lines in `gone` (doc_id, line_no) cut from their texts; a document that loses its last
-    word goes. Other documents, and all other columns, stay as they are."""
+    word goes. Other documents, and all other columns, stay as they are. by_text as in duplicate_lines()."""
     cuts = materialize(gone.groupBy(F.col("doc_id").alias("__id")).agg(F.array_sort(F.collect_set("line_no")).alias("__cut")), "cuts")
-    joined = docs.join(small(cuts, BROADCAST_ROWS), docs["doc_id"] == cuts["__id"], "left")
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("__cut", i)), "\n")
-    text = F.when(F.col("__cut").isNull(), F.col("text")).otherwise(kept)
-    new = joined.withColumn("__new", text).where(F.col("__cut").isNull() | (F.trim("__new", F.lit(SPACE)) != ""))
-    return new.select(*[F.col("__new").alias("text") if c == "text" else F.col(c) for c in docs.columns])
+    joined = packed(docs).join(small(cuts, BROADCAST_ROWS), F.col("__row.doc_id") == F.col("__id"), "left")
+    part = row_part("__row.text") if by_text else F.lit(0)
+    kept = F.array_join(F.filter(F.split("__row.text", "\n"), lambda _, i: ~F.array_contains("__cut", part + i)), "\n")
+    new = joined.withColumn("__new", F.when(F.col("__cut").isNull(), F.col("__row.text")).otherwise(kept))
+    new = new.where(F.col("__cut").isNull() | (F.col("__new") == F.col("__row.text")) | (F.trim("__new", F.lit(SPACE)) != ""))
+    return new.select(*[F.col("__new").alias(c) if c == "text" else F.col("__row")[c].alias(c) for c in docs.columns])
+
+
+def first_lines(docs: DataFrame, **params) -> DataFrame:
+    """docs without the lines that duplicate_lines() reports, each text of a repeated id by itself."""
+    return without_lines(docs, duplicate_lines(docs.select("doc_id", "text"), by_text=True, **params), True)

@@ -7,7 +7,7 @@ import math
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import SPACE, materialize, small, words_of
+from semjoin.llm.common import SPACE, materialize, packed, small, words_of
 
 SYMBOLS = "#*$%&|<>"
 
@@ -23,7 +23,7 @@ RULES = {
 def with_features(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with __n_words, __word_chars, __n_symbols, __n_dup_lines, __n_repeat_words, __n_lines, __n_marks.
 
-    Words are runs of anything but white space; windows of three words are compared by XXH64.
+    docs must not have columns of such names; packed() rows never do. Words are runs of anything but white space; windows of three words are compared by XXH64.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     n = F.size("__words")
@@ -118,11 +118,12 @@ def quality(docs: DataFrame, labels: DataFrame, **params) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame, **params) -> DataFrame:
-    """The rows of docs that quality() keeps, with their columns as they are.
+    """The rows of docs that quality() keeps, with their columns as they are, whatever their names.
 
-    Calibration reads labelled texts alone; judging then is one pass that neither shuffles nor writes texts.
+    Calibration reads labelled texts alone; judging then is one pass that neither shuffles nor writes texts. Rows
+    are judged each by itself: repeated ids and null ids change nothing.
     """
     ids = materialize(labels.where("doc_id is not null and quality is not null").select(F.col("doc_id").alias("__id")).distinct(), "labelled")
     labelled = docs.select("doc_id", "text", "lang").join(small(ids, 1_000_000), F.col("doc_id") == F.col("__id"), "left_semi")
     cutoffs = materialize(calibrate(materialize(with_features(labelled).drop("text"), "features"), labels, **params), "cutoffs")
-    return judge(with_features(docs), cutoffs).where("__kept").select(*docs.columns)
+    return judge(with_features(packed(docs, "text", "lang")), cutoffs).where("__kept").select("__row.*")

@@ -11,8 +11,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import components, forget, materialize, small, text_bytes
-from semjoin.llm.similar import similar_links
+from semjoin.llm.common import KEY, components, content_key, forget, keyed, materialize, same_key, small, text_bytes, without_rows
+from semjoin.llm.similar import similar_links, sketch
 
 BITS = 64
 #: A bucket with more distinct fingerprints than this leaves the grouped path for the exploded one.
@@ -132,15 +132,9 @@ def close_edges(fps: DataFrame, max_bits: int = 2, blocks: int = 5, group_limit:
     return edges
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ngram: int = 3, max_bits: int = 2, blocks: int = 5) -> DataFrame:
-    """One row per row of docs: doc_id, fp (signed long), component_id (smallest doc_id reachable over links).
-
-    Links join fingerprints that differ in at most max_bits bits. Equal fingerprints are collapsed
-    before any pair is formed. Null ids keep their rows and never become a component_id unless the whole
-    component has none. Empty and null texts have fingerprint 0, linked like any other. Repeated rows
-    stay. Extra columns are not read.
-    """
-    marked = materialize(fingerprints(docs, id_col, text_col, ngram), "fingerprints")
+def fingerprint_groups(marked: DataFrame, max_bits: int = 2, blocks: int = 5) -> DataFrame:
+    """(fp, component_id): of each fingerprint in marked (doc_id, fp), the smallest doc_id reachable over links.
+    Equal fingerprints are collapsed before any pair is formed."""
     fps = materialize(marked.groupBy("fp").agg(F.min("doc_id").alias("first")), "distinct")
     comps = components(close_edges(fps.select("fp"), max_bits, blocks))
     nodes = comps.union(comps.select("root", "root")).distinct().withColumnsRenamed({"node": "fp"})
@@ -148,21 +142,60 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     linked = nodes.join(firsts, "root").select("fp", "linked")
     ids = materialize(fps.join(linked, "fp", "left").select("fp", F.coalesce("linked", "first").alias("component_id")), "classes")
     forget(fps)
-    return marked.join(ids, "fp").select("doc_id", "fp", "component_id")
+    return ids
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ngram: int = 3, max_bits: int = 2, blocks: int = 5) -> DataFrame:
+    """One row per row of docs: doc_id, fp (signed long), component_id (smallest doc_id reachable over links).
+
+    Links join fingerprints that differ in at most max_bits bits. Null ids keep their rows and never become a
+    component_id unless the whole component has none. Empty and null texts have fingerprint 0, linked like any
+    other. Repeated rows stay. Extra columns are not read.
+    """
+    marked = materialize(fingerprints(docs, id_col, text_col, ngram), "fingerprints")
+    return marked.join(fingerprint_groups(marked, max_bits, blocks), "fp").select("doc_id", "fp", "component_id")
 
 
 def fingerprint_hex(fp) -> F.Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def first_of_group(docs: DataFrame, ngram: int = 5, threshold: float = 0.8, **params) -> DataFrame:
-    """docs without all but one document of each near-duplicate group: the one with the smallest id.
+def numbered(docs: DataFrame, ngram: int = 5, own_ngram: int = 3) -> DataFrame:
+    """Each row of docs (doc_id, text) with its content key, a number n of its own, fp, set_hash and block keys;
+    written, so that numbers stay."""
+
+    @F.pandas_udf("fp long, set_hash long, keys array<long>")
+    def of(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+        for texts in batches:
+            out = [(_signed(fingerprint(bytes(t), own_ngram)), *sketch(bytes(t), ngram)) for t in texts]
+            yield pd.DataFrame(out, columns=["fp", "set_hash", "keys"])
+
+    rows = docs.select(*content_key("doc_id", "text"), F.monotonically_increasing_id().alias("n"), of(text_bytes("text")).alias("x"))
+    return materialize(rows.select(*KEY, "n", "x.*"), "rows")
+
+
+def first_of_group(docs: DataFrame, ngram: int = 5, threshold: float = 0.8, max_bits: int = 2, blocks: int = 5) -> DataFrame:
+    """docs without all but one row of each near-duplicate group: the one with the smallest id.
 
-    Groups are the components of two kinds of links: those of near_duplicates() (params are its own), and
-    those of shingles of `ngram` words with a Jaccard similarity of `threshold` or more. Rows with a null id
-    are kept. Rows that repeat the kept id are kept with it. Columns stay as they are.
+    Groups are the components of two kinds of links: fingerprints at most max_bits bits apart, and sets of
+    shingles of `ngram` words with a Jaccard similarity of `threshold` or more. Rows, not ids, are grouped: each text
+    of a repeated id is in the group of that text, and of equal rows one stays. Rows with null ids are left alone and
+    stay. Texts without words, null ones too, are one group. Columns stay as they are.
     """
-    texts = docs.select("doc_id", "text")
-    prints = near_duplicates(texts, **params).where("doc_id <> component_id").select(F.col("component_id").alias("a"), F.col("doc_id").alias("b"))
-    gone = materialize(components(prints.union(similar_links(texts, ngram, threshold))).select(F.col("node").alias("__gone")).distinct(), "gone")
-    return docs.join(small(gone, 200_000), docs["doc_id"] == gone["__gone"], "left_anti")
+    rows = numbered(docs.where("doc_id is not null").select("doc_id", "text"), ngram)
+    classes = fingerprint_groups(rows.select(F.col("n").alias("doc_id"), "fp"), max_bits, blocks)
+    prints = rows.select("n", "fp").join(classes, "fp").where("n <> component_id").select(F.col("component_id").alias("a"), F.col("n").alias("b"))
+    stars = components(prints.union(similar_links(docs, rows, ngram, threshold)))
+    groups = stars.select(F.col("node").alias("n"), "root").union(stars.select("root", "root").distinct())
+    members = materialize(rows.select(*KEY, "n").join(groups, "n"), "members")
+    first = members.groupBy("root").agg(F.min(F.struct(*KEY, "n")).alias("k"))
+    kept = materialize(first.select("k.__id", "k.__h1", "k.__h2", "k.n"), "kept")
+    gone = materialize(members.join(kept.select("n"), "n", "left_anti").select(*KEY).distinct(), "gone")
+    rest = without_rows(docs, gone)
+    # One of the rows that equal a kept one must stay; these few are fetched by themselves.
+    again = materialize(gone.join(kept.drop("n"), same_key(gone, kept), "left_semi"), "again")
+    if not again.limit(1).count():
+        return rest
+    every = keyed(docs)
+    equal = every.join(small(again, 200_000), same_key(every, again), "left_semi")
+    return rest.union(equal.groupBy(*KEY).agg(F.first("__row").alias("__row")).select("__row.*"))

@@ -7,7 +7,6 @@ more, and blocks for that many bits would be five bits wide.
 from __future__ import annotations
 
 import functools
-from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -15,7 +14,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.llm.common import components, forget, materialize, text_bytes, words_of
+from semjoin.llm.common import KEY, components, forget, keyed, materialize, same_key, small, words_of
 
 #: Blocks of a sketch and minima in a block. A pair at 0.8 shares a block with probability 1 - (1 - 0.8^6)^24 = 0.9993.
 BLOCKS, ROWS = 24, 6
@@ -59,19 +58,10 @@ def block_keys(hashes: np.ndarray, blocks: int = BLOCKS, rows: int = ROWS) -> li
     return np.array([xxhash.xxh64_intdigest(parts[b].tobytes(), b) for b in range(blocks)], np.uint64).view(np.int64).tolist()
 
 
-def sketches(docs: DataFrame, ngram: int = 5) -> DataFrame:
-    """(id, set_hash, keys): the id, a hash of the whole shingle set and the block keys of each row."""
-
-    @F.pandas_udf("set_hash long, keys array<long>")
-    def of(batches: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        for texts in batches:
-            out = []
-            for t in texts:
-                h = shingle_hashes(bytes(t), ngram)
-                out.append((int(np.uint64(xxhash.xxh64_intdigest(h.tobytes())).view(np.int64)), block_keys(h)))
-            yield pd.DataFrame(out, columns=["set_hash", "keys"])
-
-    return docs.select(F.col("doc_id").alias("id"), of(text_bytes("text")).alias("x")).select("id", "x.set_hash", "x.keys")
+def sketch(text: bytes, ngram: int = 5) -> tuple[int, list[int]]:
+    """A hash of the whole shingle set of a text, and its block keys."""
+    hashes = shingle_hashes(text, ngram)
+    return int(np.uint64(xxhash.xxh64_intdigest(hashes.tobytes())).view(np.int64)), block_keys(hashes)
 
 
 def shingle_set(words: str, ngram: int = 5) -> Column:
@@ -152,23 +142,26 @@ def remaining_links(large: DataFrame, links: DataFrame, sets: DataFrame, thresho
     return dealt.groupBy("key", "p", "q").applyInPandas(join, "a long, b long")
 
 
-def similar_links(docs: DataFrame, ngram: int = 5, threshold: float = 0.8) -> DataFrame:
-    """Links (a, b) of ids: rows with equal shingle sets to the first of them, and pairs of different sets
-    whose Jaccard similarity is `threshold` or more, decided on the whole sets.
+def similar_links(docs: DataFrame, rows: DataFrame, ngram: int = 5, threshold: float = 0.8) -> DataFrame:
+    """Links (a, b) of numbers of rows: rows with equal shingle sets to the first of them, and pairs of different sets
+    whose Jaccard similarity is `threshold` or more, decided on the whole sets. rows: the content key, number n,
+    set_hash and keys of each row of docs.
 
-    Rows with null ids have no links; rows without words have equal (empty) sets; repeated ids stand for
-    their first row of each set. The pairs of candidates() come first; remaining_links() then compares what
-    they leave apart in each block, so the components of the links are those of all similar pairs that
+    Rows without words have equal (empty) sets. The pairs of candidates() come first; remaining_links() then compares
+    what they leave apart in each block, so the components of the links are those of all similar pairs that
     share a block.
     """
-    marked = materialize(sketches(docs.where("doc_id is not null"), ngram), "sketches")
+    marked = rows.select(F.col("n").alias("id"), "set_hash", "keys")
     firsts = materialize(marked.groupBy("set_hash").agg(F.min_by(F.struct("id", "keys"), "id").alias("x")).select("set_hash", "x.id", "x.keys"), "sets")
     equal = marked.select("set_hash", F.col("id").alias("b")).join(firsts.select("set_hash", F.col("id").alias("a")), "set_hash").where("a <> b").select("a", "b")
     two, large = shared_blocks(firsts.select("id", "keys"))
     pairs = materialize(candidates(two, large), "candidates")
-    wanted = pairs.select(F.col("a").alias("__id")).union(pairs.select("b")).distinct()
-    texts = docs.select("doc_id", "text").join(wanted, F.col("doc_id") == F.col("__id"), "left_semi").groupBy("doc_id").agg(F.min("text").alias("text"))
-    sets = materialize(texts.select("doc_id", words_of(F.translate("text", _UPPER, _LOWER)).alias("w")).select("doc_id", shingle_set("w", ngram).alias("s")), "shingles")
+    wanted = pairs.select(F.col("a").alias("n")).union(pairs.select("b")).distinct()
+    wanted = materialize(rows.select(*KEY, "n").join(wanted, "n", "left_semi"), "wanted")
+    every = keyed(docs)
+    texts = every.join(small(wanted, 200_000), same_key(every, wanted)).select("n", F.col("__row.text").alias("text"))
+    sets = texts.select(F.col("n").alias("doc_id"), words_of(F.translate("text", _UPPER, _LOWER)).alias("w")).select("doc_id", shingle_set("w", ngram).alias("s"))
+    sets = materialize(sets.dropDuplicates(["doc_id"]), "shingles")
     # Sizes first: sets whose sizes differ too much cannot be similar, and carry no arrays through the joins.
     sizes = sets.select("doc_id", F.size("s").alias("n"))
     left, right = sizes.select(F.col("doc_id").alias("a"), F.col("n").alias("na")), sizes.select(F.col("doc_id").alias("b"), F.col("n").alias("nb"))
@@ -178,5 +171,5 @@ def similar_links(docs: DataFrame, ngram: int = 5, threshold: float = 0.8) -> Da
     near = both.where(shared >= F.lit(threshold) * (F.col("na") + F.col("nb") - shared)).select("a", "b")
     links = materialize(equal.union(near), "links")
     out = materialize(links.union(remaining_links(large, links, sets, threshold)), "links")
-    forget(marked, firsts, large, pairs, sets, links)
+    forget(firsts, large, pairs, wanted, sets, links)
     return out

@@ -24,6 +24,15 @@ def slow_groups(texts, threshold=0.8):
     return root
 
 
+def links_of(docs):
+    """similar_links() between ids."""
+    rows = simhash.numbered(docs.where("doc_id is not null").select("doc_id", "text"))
+    links = similar.similar_links(docs, rows)
+    ids = rows.select("n", "__id")
+    named = links.join(ids.withColumnsRenamed({"n": "a", "__id": "x"}), "a").join(ids.withColumnsRenamed({"n": "b", "__id": "y"}), "b")
+    return named.where("x <> y").selectExpr("least(x, y) as a", "greatest(x, y) as b").distinct()
+
+
 def edited(rng, words, n):
     out = list(words)
     for at in rng.sample(range(len(out)), n):
@@ -41,7 +50,7 @@ def test_links_equal_brute_force_on_planted_copies(spark):
             texts[i], i = edited(rng, base, n), i + 1
     texts |= {i: "", i + 1: None, i + 2: " \n", i + 3: "One two", i + 4: "one TWO", i + 5: "É a b c d", i + 6: "e a b c d"}
     docs = spark.createDataFrame([(k, t, 1) for k, t in texts.items()] + [(None, texts[0], 1), (0, texts[0], 1)], "doc_id long, text string, keys int")
-    links = similar.similar_links(docs)
+    links = links_of(docs)
     found = {(r.a, r.b) for r in links.collect()}
     assert all(jaccard(shingles(texts[a]), shingles(texts[b])) >= 0.8 for a, b in found)
     want = slow_groups(texts)
@@ -71,7 +80,7 @@ def test_groups_near_the_threshold_equal_brute_force(spark):
         base = [f"w{rng.randrange(3000)}" for _ in range(120)]
         texts |= {100 * g + i: edited(rng, base, rng.choice((1, 2, 2, 3))) for i in range(90)}
     docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
-    found = {k: k for k in texts} | {r.node: r.root for r in simhash.components(similar.similar_links(docs)).collect()}
+    found = {k: k for k in texts} | {r.node: r.root for r in simhash.components(links_of(docs)).collect()}
     want = slow_groups(texts)
     assert len(set(want.values())) > 3 and found == want
 
@@ -93,7 +102,7 @@ def test_remaining_links_in_parts_and_whole(spark):
 
 def test_empty_table(spark):
     docs = spark.createDataFrame([], "doc_id long, text string")
-    assert similar.similar_links(docs).count() == 0 and simhash.first_of_group(docs).count() == 0
+    assert links_of(docs).count() == 0 and simhash.first_of_group(docs).count() == 0
 
 
 def test_block_keys_agree_for_equal_sets_only():
@@ -101,3 +110,14 @@ def test_block_keys_agree_for_equal_sets_only():
     assert similar.block_keys(a) == similar.block_keys(b) and len(similar.block_keys(a)) == similar.BLOCKS
     assert not set(similar.block_keys(a)) & set(similar.block_keys(similar.shingle_hashes(b"q r s t u v w")))
     assert similar.block_keys(similar.shingle_hashes(b"")) == []
+
+
+def test_rows_are_told_apart_not_ids(spark):
+    """Of two texts with one id, only the one that repeats another text goes; of equal rows one stays."""
+    rng = random.Random(7)
+    one, two, three = (" ".join(f"{x}{rng.randrange(4000)}" for _ in range(80)) for x in "abc")
+    rows = [(1, one, "x"), (2, one + " end", "x"), (2, two, "y"), (3, three, "p"), (3, three, "p"), (3, three, "q"), (None, one, "n")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, __row string")
+    got = sorted((str(r.doc_id), r.text) for r in simhash.first_of_group(docs).collect())
+    assert got == sorted([("1", one), ("2", two), ("3", three), ("None", one)])
+    assert simhash.first_of_group(docs).columns == docs.columns

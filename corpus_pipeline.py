@@ -18,11 +18,11 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Lines that an earlier line repeats, exactly or within one edit, are cut; emptied documents go."""
     with stage_scope(docs):
-        return linededup.without_lines(docs, linededup.duplicate_lines(docs, near_chars=linededup.NEAR_CHARS, every=True))
+        return linededup.first_lines(docs, near_chars=linededup.NEAR_CHARS, every=True)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near duplicates the document with the smallest id stays."""
+    """Of each group of near duplicates one row stays, of the smallest id; texts that share an id are told apart."""
     with stage_scope(docs):
         return simhash.first_of_group(docs)
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import html
 import math
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pandas as pd
@@ -23,75 +24,98 @@ FRAME_WORDS = frozenset("nav navbar navigation menu menus breadcrumb breadcrumbs
 HEADER_WORDS = frozenset("header topbar".split())
 COMMENT_WORDS = frozenset("comment comments reply replies respond disqus".split())
 
-_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(?P<cdata>.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(?P<close>/?)(?P<name>[A-Za-z][^\s/>]*)(?P<attrs>(?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
-_ATTR = re.compile(r"\b(class|id|role|hidden|aria-hidden|style)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?", re.I)
+_TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(?P<cdata>.*?)(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(?P<close>/?)(?P<name>[A-Za-z][^\s/>]*)(?P<attrs>(?:=\s*+(?:\"[^\"]*\"|'[^']*')|[^>=]++|=)*+)(?:>|\Z)", re.S)
+#: One attribute: its name, and its value in double, single or no quotes.
+_ATTR = re.compile(r"([^\s\"'<>/=][^\s/>=]*)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>][^\s>]*)))?")
+_HIDING = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 _WORD = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
+FOREIGN = frozenset("svg math".split())
+
+
 class Node:
-    __slots__ = ("chars", "density", "items", "link_chars", "link_tags", "name", "parent", "sum", "tags", "words", "hidden")
+    __slots__ = ("chars", "density", "framed", "hidden", "items", "link_chars", "link_tags", "name", "parent", "sum", "tags", "words")
 
     def __init__(self, name: str, parent: Node | None, words: frozenset = frozenset(), hidden: bool = False):
         self.name, self.parent, self.words, self.hidden = name, parent, words, hidden
         self.items: list[Node | str] = []
 
 
+def attributes(source: str) -> tuple[frozenset, bool, bool]:
+    """Of the attributes of a tag: words of class, id and role, whether it is hidden, and whether a slash ends the tag."""
+    words, hidden, end = [], False, 0
+    for a in _ATTR.finditer(source):
+        key, value, end = a[1].lower(), a[2] or a[3] or a[4] or "", a.end()
+        if key in ("class", "id", "role"):
+            words += [w.lower() for w in _WORD.findall(value)]
+        elif key == "hidden" or (key == "aria-hidden" and value.lower() == "true") or (key == "style" and _HIDING.search(value)):
+            hidden = True
+    return frozenset(words), hidden, "/" in source[end:]
+
+
 def parse(page: str) -> Node:
-    """A tree of the page; end tags that HTML lets authors leave out are supplied, unknown ones ignored."""
-    root = at = Node("html", None)
+    """A tree of the page; end tags that HTML lets authors leave out are supplied, unknown ones ignored. Linear in the
+    page: open elements are counted by name, so a tag that closes nothing looks at none of them."""
+    root = Node("html", None)
+    stack, opened = [root], Counter()
     pos, n = 0, len(page)
+
+    def close(depth: int) -> None:
+        for x in stack[depth:]:
+            opened[x.name] -= 1
+        del stack[depth:]
+
     while pos < n:
         m = _TAG.search(page, pos)
         if m is None:
-            at.items.append(html.unescape(page[pos:]))
+            stack[-1].items.append(html.unescape(page[pos:]))
             break
         if m.start() > pos:
-            at.items.append(html.unescape(page[pos : m.start()]))
+            stack[-1].items.append(html.unescape(page[pos : m.start()]))
         pos = max(m.end(), m.start() + 1)
         if m["cdata"] is not None:
-            at.items.append(m["cdata"])
+            stack[-1].items.append(m["cdata"])
         name = (m["name"] or "").lower()
         if not name:
             continue
         if m["close"]:
-            up = at
-            while up is not None and up.name != name:
-                up = up.parent if up.name not in ("article", "table", "td", "th") or name in ("html", "body", "article", "main", "table", "div", "section") else None
-            if up is not None and up.parent is not None:
-                at = up.parent
+            at = len(stack) - 1
+            while opened[name] and at and stack[at].name != name:
+                if stack[at].name in ("article", "table", "td", "th") and name not in ("html", "body", "article", "main", "table", "div", "section"):
+                    break
+                at -= 1
+            if at and stack[at].name == name:
+                close(at)
             continue
         if name == "html":
             continue
-        if name in CLOSES_P:
-            up = at
-            while up is not None and up.name != "p" and (up.name in INLINE):
-                up = up.parent
-            if up is not None and up.name == "p":
-                at = up.parent
-        if name in SIBLINGS:
+        if name in CLOSES_P and opened["p"]:
+            at = len(stack) - 1
+            while at and stack[at].name in INLINE:
+                at -= 1
+            if stack[at].name == "p":
+                close(at)
+        if name in SIBLINGS and any(opened[x] for x in SIBLINGS[name][0]):
             ends, scope = SIBLINGS[name]
-            up, last = at, None
-            while up is not None and up.name not in scope:
-                if up.name in ends:
-                    last = up
-                up = up.parent
+            at, last = len(stack) - 1, None
+            while at and stack[at].name not in scope:
+                if stack[at].name in ends:
+                    last = at
+                at -= 1
             if last is not None:
-                at = last.parent
-        words, hidden = [], False
-        if m["attrs"].strip():
-            for a in _ATTR.finditer(m["attrs"]):
-                key, value = a[1].lower(), a[2] or a[3] or a[4] or ""
-                if key in ("class", "id", "role"):
-                    words += [w.lower() for w in _WORD.findall(value)]
-                elif key == "hidden" or key == "aria-hidden" and value.lower() == "true" or key == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
-                    hidden = True
-        node = Node(name, at, frozenset(words), hidden)
-        at.items.append(node)
+                close(last)
+        words, hidden, ended = attributes(m["attrs"]) if m["attrs"] and not m["attrs"].isspace() else (frozenset(), False, False)
+        node = Node(name, stack[-1], words, hidden)
+        stack[-1].items.append(node)
+        if ended and (name in FOREIGN or name not in RAW):
+            continue
         if name in RAW:
             end = re.compile(rf"</{re.escape(name)}(?=[\s/>])[^>]*(?:>|\Z)", re.I).search(page, pos)
             pos = end.end() if end else n
-        elif name not in VOID and not m["attrs"].rstrip().endswith("/"):
-            at = node
+        elif name not in VOID:
+            stack.append(node)
+            opened[name] += 1
     return root
 
 
@@ -108,12 +132,15 @@ def _own_chars(node: Node) -> int:
 
 
 def measure(root: Node) -> list[Node]:
-    """Fill in characters, tags and their parts in links, composite density and density sum of each node."""
+    """Fill in characters, tags and their parts in links, composite density and density sum of each node.
+
+    Inline elements are part of the text they stand in: they have no density of their own, and but for links
+    they are no tags; block elements inside them count for the block around."""
     nodes = _nodes(root)
     for node in reversed(nodes):
         kids = [x for x in node.items if isinstance(x, Node)]
         node.chars = _own_chars(node) + sum(k.chars for k in kids)
-        node.tags = sum(k.tags + 1 for k in kids)
+        node.tags = sum(k.tags + (k.name not in INLINE or k.name == "a") for k in kids)
         node.link_chars = node.chars if node.name == "a" else sum(k.link_chars for k in kids)
         node.link_tags = node.tags if node.name == "a" else sum(k.link_tags + (k.name == "a") for k in kids)
     share = root.link_chars / max(1, root.chars)
@@ -122,14 +149,20 @@ def measure(root: Node) -> list[Node]:
         plain = max(1, c - node.link_chars)
         base = math.log(c / plain * node.link_chars + share * c + math.e)
         node.density = c / t * math.log(max(c / lc * (t / lt), 1e-9)) / math.log(base) if c and base > 1 else float(c) / t
-        node.sum = sum(x.density for x in node.items if isinstance(x, Node))
+        node.sum = sum(x.sum if x.name in INLINE else x.density for x in node.items if isinstance(x, Node))
     return nodes
 
 
 def _prune(root: Node) -> None:
     """Take out what never is article text: menus, forms, notices and the like, by element and by name.
-    A wrapper whose name alone speaks against it stays if it holds the article or most of the text."""
-    total = max(1, measure(root)[0].chars)
+    A wrapper whose name alone speaks against it stays if it holds the article or most of the text. Linear: what a
+    node holds is counted once, from the leaves up."""
+    nodes = _nodes(root)
+    for node in reversed(nodes):
+        kids = [x for x in node.items if isinstance(x, Node)]
+        node.chars = _own_chars(node) + sum(k.chars for k in kids)
+        node.framed = node.name in ("article", "main") or any(k.framed for k in kids)
+    total = max(1, root.chars)
     todo = [(root, False)]
     while todo:
         node, inside = todo.pop()
@@ -138,10 +171,8 @@ def _prune(root: Node) -> None:
         for x in node.items:
             if isinstance(x, Node):
                 drop = x.hidden or x.name in DROPPED or (x.name == "header" and not inside)
-                named = x.words & FRAME_WORDS or (x.words & HEADER_WORDS and not inside)
-                if not drop and named and x.name not in ("body", "html", "main"):
-                    wraps = x.words.isdisjoint(COMMENT_WORDS) and (x.name == "article" or any(y.name in ("article", "main") for y in _nodes(x)) or x.chars > 0.6 * total)
-                    drop = not wraps
+                if not drop and x.name not in ("body", "html", "main") and (x.words & FRAME_WORDS or (x.words & HEADER_WORDS and not inside)):
+                    drop = not (x.words.isdisjoint(COMMENT_WORDS) and (x.framed or x.chars > 0.6 * total))
                 if drop:
                     kept.append(" " if x.name in INLINE else Node("br", node))
                     continue
@@ -183,16 +214,19 @@ def main_text(page: str) -> str:
     Densities are characters per tag, lowered by the share of links. The node whose children's densities
     sum highest leads; the least density on its path up to the body is the threshold. From the body down,
     each node at or over the threshold gives the subtree with the highest sum in it; of nodes below
-    the threshold, only children are looked at.
+    the threshold, only children are looked at. Where the body itself leads, there is nothing to choose by: marked
+    articles are given, or else all that is left of the body.
     """
     root = parse(page)
     _prune(root)
     nodes = measure(root)
     body = next((x for x in nodes if x.name == "body"), root)
-    inside = _nodes(body)
     if not body.chars:
         return ""
-    lead = max(inside, key=lambda x: x.sum)
+    inside = _nodes(body)
+    lead = max((x for x in inside if x.name not in INLINE), key=lambda x: x.sum)
+    if lead.sum <= 0 or lead is body:
+        return " ".join(t for x in _outermost(body, ("article", "main")) or [body] for t in _texts(x))
     threshold, up = lead.density, lead
     while up is not body:
         up = up.parent
@@ -200,16 +234,11 @@ def main_text(page: str) -> str:
     best: dict[int, Node] = {}
     for node in reversed(inside):
         kids = [best[id(x)] for x in node.items if isinstance(x, Node)]
-        best[id(node)] = max([node, *kids], key=lambda x: x.sum)
-    articles = [x for x in inside if x.name in ("article", "main") and x.chars]
-    if lead.sum <= 0 or lead is body or any(x.chars >= lead.chars and _holds(x, lead) for x in articles):
-        # The lead is in a marked article, or the page has no structure to choose by.
-        marked = next((x for x in articles if lead.sum > 0 and lead is not body and _holds(x, lead)), None)
-        return " ".join(_texts(marked or body))
+        best[id(node)] = max([*([] if node.name in INLINE else [node]), *kids], key=lambda x: x.sum, default=node)
     chosen, work = [], [body]
     while work:
         node = work.pop()
-        if node.density >= threshold and node.sum > 0:
+        if node.density >= threshold and best[id(node)].sum > 0:
             chosen.append(best[id(node)])
         else:
             work += [x for x in reversed(node.items) if isinstance(x, Node)]
@@ -218,10 +247,16 @@ def main_text(page: str) -> str:
     return " ".join(t for x in order for t in _texts(x))
 
 
-def _holds(outer: Node, inner: Node) -> bool:
-    while inner is not None and inner is not outer:
-        inner = inner.parent
-    return inner is outer
+def _outermost(root: Node, names: tuple[str, ...]) -> list[Node]:
+    """Nodes of these names that hold text and are in no other such node, in page order."""
+    out, work = [], [root]
+    while work:
+        node = work.pop()
+        if node.name in names and node.chars:
+            out.append(node)
+        else:
+            work += [x for x in reversed(node.items) if isinstance(x, Node)]
+    return out
 
 
 def _in_order(root: Node) -> Iterator[Node]:
@@ -235,8 +270,8 @@ def _in_order(root: Node) -> Iterator[Node]:
 def extract(pages: DataFrame, html_col: str = "html") -> DataFrame:
     """pages (page_id, url) with text and n_chars, one row per row of pages.
 
-    Null and empty pages give empty text; damaged markup is repaired as parse() says; repeated rows are
-    each extracted; extra columns are not read.
+    Null and empty pages give empty text, an empty table no rows; damaged markup is repaired as parse() says; repeated
+    rows are each extracted; extra columns are not read. Work is linear in a page, however deep it is nested.
     """
 
     @F.pandas_udf("string")

@@ -33,6 +33,8 @@ _WRAPPED = re.compile(r"[A-Za-z0-9+/_-]{16,}+(?:[ \t]*+\r?\n[ \t]*+[A-Za-z0-9+/_
 _LINE, _BREAK = re.compile(r"[A-Za-z0-9+/_=-]+"), re.compile(r"[ \t\r\n]+")
 #: Unpacked layers are scanned in pieces of this many bytes that overlap, so memory stays bounded.
 PIECE, OVERLAP = 1 << 23, 1 << 12
+#: Streams that may be none are fed by slices of so many bytes.
+STEP = 1 << 16
 
 
 def scan(text: str) -> list[tuple[int, int, int]]:
@@ -202,17 +204,59 @@ class _Unpacked:
             return
 
 
+#: What UTF-16 looks like where every other byte of the text is zero, by the parity of the zeros.
+_WIDE = ("utf-16-be", "utf-16-le")
+#: Parts of decoded bytes that read as text: so many printable characters in a row at least.
+_READABLE = re.compile(r"[^\x00-\x08\x0b\x0c\x0e-\x1f\x7f-\x9f�]{8,}")
+#: First bytes of streams that can begin anywhere in decoded bytes; zlib's two are too common for that.
+_MAGIC = re.compile(rb"\x1f\x8b\x08|BZh[1-9]1AY&SY|\xfd7zXZ\x00|\x28\xb5\x2f\xfd")
+
+
+def _wide(data: bytes) -> str | None:
+    """The UTF-16 that data looks like, by its mark or its zero bytes."""
+    if data[:2] in (b"\xfe\xff", b"\xff\xfe"):
+        return _WIDE[data[:1] == b"\xff"]
+    pairs = len(data) // 2
+    for parity, name in enumerate(_WIDE):
+        if pairs >= 4 and data[parity : 2 * pairs : 2].count(0) >= 0.7 * pairs > 7 * data[1 - parity : 2 * pairs : 2].count(0):
+            return name
+    return None
+
+
+def _plain(data: bytes) -> str | None:
+    """data as text, if it is text from end to end."""
+    try:
+        text = data.decode(_wide(data) or "utf-8")
+    except UnicodeDecodeError:
+        return None
+    return text if sum(c.isprintable() or c in "\t\r\n" for c in text) >= 0.95 * len(text) else None
+
+
 def _texts(data: bytes, how: str) -> Iterator[tuple[str, str]]:
     """Texts in decoded bytes: the bytes as text, or what they unpack to, which may be packed again."""
-    if packing_of(data) is None:
-        try:
-            text = data.decode("utf-8")
-        except UnicodeDecodeError:
-            return
-        if sum(c.isprintable() or c in "\t\r\n" for c in text) >= 0.95 * len(text):
-            yield text, how
-        return
-    yield from _unpacked_texts(iter([data]), how)
+    if packing_of(data) is not None:
+        yield from _unpacked_texts(iter([data]), how)
+    elif (text := _plain(data)) is not None:
+        yield text, how
+
+
+def _stray(data: bytes, start: int, how: str) -> Iterator[tuple[str, str]]:
+    """Texts of a stream that may begin at start; what is none ends at its first slice."""
+    slices = (data[i : i + STEP] for i in range(start, len(data), STEP))
+    head = next(slices)
+    name = packing_of(head)
+    if name is not None:
+        yield from _unpacked_texts(iter(_Unpacked(name, itertools.chain([head], slices))), f"{how}+{name}", 1)
+
+
+def _parts(data: bytes, how: str) -> Iterator[tuple[str, str]]:
+    """Texts in bytes that have something else before or after them: readable parts and streams by their first bytes."""
+    for m in _MAGIC.finditer(data):
+        yield from _stray(data, m.start(), how)
+    name = _wide(data[3:-3]) if len(data) > 16 else None
+    for start in (0, 1) if name in _WIDE else (0,):
+        for m in _READABLE.finditer(data[start:].decode(name or "utf-8", "replace")):
+            yield m[0], how
 
 
 def _unpacked_texts(source: Iterator[bytes], how: str, depth: int = 0) -> Iterator[tuple[str, str]]:
@@ -227,11 +271,12 @@ def _unpacked_texts(source: Iterator[bytes], how: str, depth: int = 0) -> Iterat
             if not stream.empty:
                 pieces = _gathered(stream.rest)
                 continue
-        tail = b""
+        wide, tail = _wide(head), b""
         for piece in itertools.chain([head], pieces):
             whole = tail + piece
-            yield whole.decode("utf-8", "replace"), how
-            tail = whole[-OVERLAP:]
+            yield whole.decode(wide or "utf-8", "replace"), how
+            # An even overlap, so that characters of two bytes stay whole from piece to piece.
+            tail = whole[-OVERLAP - len(whole) % 2 :]
         return
 
 
@@ -263,12 +308,30 @@ def _wrapped(text: str) -> Iterator[list[tuple[int, int]]]:
             i = j + 1
 
 
+def _shifted(body: str) -> Iterator[tuple[str, str]]:
+    """Texts of base64 that letters of its own alphabet stand before or behind, as in blob/cGFz: all four alignments."""
+    body = body.rstrip("=").replace("-", "+").replace("_", "/")
+    for start in range(4):
+        stop = len(body) - ((len(body) - start) % 4 == 1)
+        data = base64.b64decode(body[start:stop] + "=" * (-(stop - start) % 4))
+        if start and packing_of(data) == "zlib":
+            yield from _stray(data, 0, "base64")
+        yield from _parts(data, "base64")
+
+
 def _unbase64(layer: Layer) -> Iterator[Layer]:
+    """What base64 in the layer decodes to, a piece at a time. Runs that are no text and no stream as they stand are read
+    at all alignments."""
     for m in _BASE64.finditer(layer.text):
-        if (data := _from_base64(m[0])) is not None:
-            for text, how in _texts(data, "base64"):
-                if text:
-                    yield Layer(text, layer, [0], [(*m.span(), True)], how)
+        found = False
+        data = _from_base64(m[0])
+        for text, how in _texts(data, "base64") if data is not None else ():
+            if text:
+                found = True
+                yield Layer(text, layer, [0], [(*m.span(), True)], how)
+        if not found:
+            for text, how in _shifted(m[0]):
+                yield Layer(text, layer, [0], [(*m.span(), True)], how)
     if "\n" not in layer.text:
         return
     for spans in _wrapped(layer.text):
@@ -285,23 +348,31 @@ def _unbase64(layer: Layer) -> Iterator[Layer]:
                 done.add(a)
 
 
+def _rewrites(layer: Layer) -> Iterator[Layer]:
+    if "%" in layer.text and (new := _rewritten(layer, _PERCENT, _percent, "url")):
+        yield new
+    if ("\\" in layer.text or "&#" in layer.text) and (new := _rewritten(layer, _ESCAPE, _escape, "unicode")):
+        yield new
+
+
 def layers(text: str) -> Iterator[Layer]:
     """The text and all that it unwraps to, until nothing new appears. A text seen before in this
-    document, at the same place, ends its branch, so cycles end."""
-    work, seen = [Layer(text)], set()
+    document, at the same place, ends its branch, so cycles end.
+
+    The worklist holds sources of layers, not layers: the next one is made when it is asked for, so a document
+    has one piece of each level in memory, however much it unpacks to."""
+    work, seen = [iter([Layer(text)])], set()
     while work:
-        layer = work.pop()
+        layer = next(work[-1], None)
+        if layer is None:
+            work.pop()
+            continue
         where = layer.root_span(0, len(layer.text)) if layer.parent else (0, len(text))
         mark = (where, hashlib.blake2b(layer.text.encode("utf-8", "surrogatepass"), digest_size=16).digest())
-        if mark in seen:
-            continue
-        seen.add(mark)
-        yield layer
-        if "%" in layer.text and (new := _rewritten(layer, _PERCENT, _percent, "url")):
-            work.append(new)
-        if ("\\" in layer.text or "&#" in layer.text) and (new := _rewritten(layer, _ESCAPE, _escape, "unicode")):
-            work.append(new)
-        work += _unbase64(layer)
+        if mark not in seen:
+            seen.add(mark)
+            yield layer
+            work.append(itertools.chain(_rewrites(layer), _unbase64(layer)))
 
 
 def secrets_in(text: str) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, str]]]:

@@ -4,6 +4,10 @@ import base64
 import bz2
 import gzip
 import lzma
+import random
+import re
+import tracemalloc
+import urllib.parse
 import zlib
 
 import pytest
@@ -68,3 +72,71 @@ def test_wrapped_base64(width, end):
 
 def test_text_that_looks_packed():
     assert "assign@base64+gzip" in kinds("see " + b64(gzip.compress(b"x^2 " + SECRET, mtime=0)))
+
+
+@pytest.mark.parametrize("before", ["blob/", "a", "ab", "abc", "abcd/", "data_x-", "path/to/some/"])
+def test_letters_before_and_behind_a_value(before):
+    for data, name in ((SECRET + b" end", "assign@base64"), (gzip.compress(SECRET, mtime=0), "assign@base64+gzip"), (zstandard.compress(SECRET), "assign@base64+zstd")):
+        text = "see " + before + b64(data).rstrip("=")
+        spans = [x for x in secrets.secrets_in(text)[1] if x[2] == name]
+        assert spans and spans[0][:2] == (4, len(text)), (before, name)
+    assert "assign@base64" in kinds(f"see {b64(SECRET + b'..')}xyz")
+
+
+@pytest.mark.parametrize("code", ["utf-16-le", "utf-16-be", "utf-16"])
+def test_wide_characters(code):
+    data = SECRET.decode().encode(code)
+    assert "assign@base64" in kinds("see " + b64(data)) and "assign@base64+gzip" in kinds("see " + b64(gzip.compress(data, mtime=0)))
+    assert "assign@base64" in kinds("see x" + b64(b"\xff\xfe\xfd" + data))
+
+
+def slow_layers(text):
+    """All texts that the text unwraps to, by trying every decoder on every layer."""
+    seen, work = {text}, [text]
+    while work:
+        t = work.pop()
+        new = [urllib.parse.unquote(t), re.sub(r"\\\\u([0-9a-f]{4})", lambda m: chr(int(m[1], 16)), t)]
+        for m in re.finditer(r"[A-Za-z0-9+/]{16,}={0,2}", t):
+            try:
+                data = base64.b64decode(m[0])
+            except ValueError:
+                continue
+            for unpack in (lambda d: d, gzip.decompress, zlib.decompress, bz2.decompress, lzma.decompress, lambda d: zlib.decompress(gzip.decompress(d))):
+                try:
+                    new.append(unpack(data).decode())
+                except Exception:
+                    pass
+        work += [x for x in new if x not in seen]
+        seen.update(new)
+    return seen
+
+
+def test_layers_equal_brute_force():
+    """The secrets of decoded layers are those that trying every decoder finds, for random nestings."""
+    rng = random.Random(8)
+    wrap = [
+        lambda t: b64(t.encode()), lambda t: b64(PACK["gzip"](t.encode())), lambda t: b64(PACK["bz2"](t.encode())), lambda t: b64(PACK["gzip"](zlib.compress(t.encode()))),
+        lambda t: urllib.parse.quote(t, safe=""), lambda t: "".join(f"\\u{ord(c):04x}" for c in t), lambda t: f"seen at {t} today", lambda t: f"{t} and api_key={rng.randrange(10**9):09d}x",
+    ]
+    found = lambda texts: {t[s:e] for t in texts for s, e, _ in secrets.scan(t)}
+    for _ in range(150):
+        text = f"secret={rng.randrange(10**9):09d}k"
+        for _ in range(rng.randint(1, 5)):
+            text = rng.choice(wrap)(text)
+        want, got = found(slow_layers(text)), found(x.text for x in secrets.layers(text))
+        assert want <= got and any(x.startswith("secret=") for x in got), text
+
+
+def test_a_packed_layer_stays_out_of_memory():
+    text = "see " + b64(gzip.compress(b" " * (1 << 27) + SECRET, mtime=0))
+    tracemalloc.start()
+    assert "assign@base64+gzip" in kinds(text)
+    assert tracemalloc.get_traced_memory()[1] < 12 * secrets.PIECE
+    tracemalloc.stop()
+
+
+def test_tables(spark):
+    assert secrets.scan_documents(spark.createDataFrame([], "doc_id long, text string")).collect() == []
+    rows = [(1, "token = abcdef123", "x"), (1, "token = abcdef123", "x"), (None, None, None), (2, "ab " * 400_000 + "token = abcdef123", "y")]
+    got = secrets.scan_documents(spark.createDataFrame(rows, "doc_id long, text string, base string")).collect()
+    assert sorted(len(r["base"]) for r in got) == [0, 1, 1, 1] and got[0] == got[1]

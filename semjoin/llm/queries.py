@@ -22,8 +22,8 @@ def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    path = F.concat_ws("/", F.coalesce("source", F.lit("unknown")), F.coalesce("lang", F.lit("unknown")), F.col("doc_id").cast("string"))
-    return licences.licences(table(spark, sf_dir, "documents"), path)
+    # documents have no paths, so they give and inherit nothing; how is own or none.
+    return licences.licences(table(spark, sf_dir, "documents"), F.lit(None).cast("string"))
 
 
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

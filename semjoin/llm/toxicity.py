@@ -52,6 +52,14 @@ def swapped(words: set[str], terms: dict[str, str]) -> set[str]:
     return {terms.get(w, w) for w in words}
 
 
+def counterfactual(words: set[str], terms: dict[str, str], order: list[str]) -> set[str]:
+    """The words with identity terms swapped; words without any get a mention of one, which the words choose, so
+    that each labelled text says what its score must be with a group named and without."""
+    if words.isdisjoint(terms):
+        return words | {order[zlib.crc32(" ".join(sorted(words)).encode("utf-8", "surrogatepass")) % len(order)]}
+    return swapped(words, terms)
+
+
 def train(rows: list[tuple], l1: float = 2e-4, l2: float = 1e-4, fairness: float = 1.0, rounds: int = 300, min_rows: int = 3) -> tuple[float, dict[int, float]]:
     """Intercept and weights from rows (label, features, features added by the swap, features it removes).
 
@@ -91,7 +99,13 @@ def train(rows: list[tuple], l1: float = 2e-4, l2: float = 1e-4, fairness: float
         norm /= top
     stop = 0.0
     if len(scol):
-        stop = 2 * fairness * float(np.bincount(srow, sval**2).max())
+        # The largest eigenvalue of the penalty by power iteration, with a margin, or else its bound by rows if that is less.
+        side = np.random.default_rng(1).random(d)
+        for _ in range(20):
+            side = np.bincount(scol, sval * np.bincount(srow, sval * side[scol], minlength=len(swaps))[srow], minlength=d)
+            largest = float(np.linalg.norm(side))
+            side /= max(largest, 1e-30)
+        stop = 2 * fairness * min(1.5 * largest / len(swaps), float(np.bincount(srow, sval**2).max()))
     step = 1.0 / (0.25 * (top + n) / n + 2 * l2 + stop)
     w, b = np.zeros(d), float(np.log(prior / (1 - prior)))
     vw, vb, t = w.copy(), b, 1.0
@@ -117,12 +131,15 @@ def held_out(id_col: str = "doc_id"):
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, **params) -> tuple[float, dict[int, float]]:
-    """Learn from labelled documents that are not held out; a document with several labels counts as toxic
-    if one says so; null labels and ids are left out."""
+    """Learn from labelled documents that are not held out, max_train of them at most; a document with several labels
+    counts as toxic if one says so; null labels and ids are left out; rows that repeat an id each count; null texts are
+    empty. Every text has a counterfactual (see there), and a score that differs from the counterfactual's is
+    penalised by `fairness`. Empty tables give a model that scores all texts alike."""
     marks = labels.where("doc_id is not null and toxic is not null").where(~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     chosen = marks.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_train)
     sample = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id")
     terms = _next_terms()
+    order = sorted(terms)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known = Features()
@@ -131,7 +148,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_train: int = MAX_TRAIN, **params
             for text, label in zip(pdf["text"], pdf["toxic"], strict=True):
                 words = set(_WORD.findall(text.lower()))
                 own = features_of(words, known)
-                other = own if words.isdisjoint(terms) else features_of(swapped(words, terms), known)
+                other = features_of(counterfactual(words, terms, order), known)
                 out.append((int(label), list(own), list(other - own), list(own - other)))
             yield pd.DataFrame(out, columns=["y", "x", "more", "less"])
 
@@ -165,3 +182,18 @@ def score(docs: DataFrame, model: tuple[float, dict[int, float]], threshold: flo
 
     scored = docs.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), run(F.coalesce("text", F.lit(""))).alias("score"))
     return scored.withColumn("predicted", F.when(F.col("score") >= threshold, 1).otherwise(0))
+
+
+def mention_changes(docs: DataFrame, labels: DataFrame, model: tuple[float, dict[int, float]], threshold: float = 0.3) -> DataFrame:
+    """(term, n, false_plain, false_mention, change): held-out documents labelled clean, scored as they are and with one
+    neutral sentence about a group behind them; how many pass the threshold, and the mean change of the score. Each
+    document gets one term of IDENTITY, by a hash of its id."""
+    order = F.array(*[F.lit(x) for x in sorted(_next_terms())])
+    clean = labels.where("doc_id is not null and toxic is not null").groupBy("doc_id").agg(F.max("toxic").alias("toxic")).where("toxic = 0").select("doc_id")
+    held = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).where(held_out()).join(F.broadcast(clean) if clean.limit(1_000_001).count() <= 1_000_000 else clean, "doc_id", "left_semi")
+    held = held.withColumn("term", F.get(order, F.pmod(F.xxhash64("doc_id"), F.size(order)).cast("int")))
+    both = held.select("doc_id", "term", F.explode(F.array(F.struct(F.lit(False).alias("named"), "text"), F.struct(F.lit(True).alias("named"), F.concat("text", F.lit(". "), "term", F.lit(" .")).alias("text")))).alias("x"))
+    key = F.to_json(F.struct("doc_id", "term", "x.named"))
+    scored = score(both.select(key.alias("doc_id"), F.col("x.text").alias("text")), model, threshold).select(F.from_json("doc_id", "doc_id long, term string, named boolean").alias("k"), "score", "predicted").select("k.*", "score", "predicted")
+    named = F.col("named")
+    return scored.groupBy("term").agg(F.count_if(named).alias("n"), F.count_if(~named & (F.col("predicted") == 1)).alias("false_plain"), F.count_if(named & (F.col("predicted") == 1)).alias("false_mention"), F.avg(F.when(named, F.col("score")).otherwise(-F.col("score")) * 2).alias("change"))

@@ -51,6 +51,16 @@ def label_equi_join(a: DataFrame, b: DataFrame, salt: int = 1) -> DataFrame:
     return left.join(right, ["label", "salt"]).select("a_id", "b_id", "label")
 
 
+#: Rows of one label that one task joins.
+HOT_ROWS = 100_000
+
+
+def salt_for(b: DataFrame) -> int:
+    """Keys that the largest label is dealt over, by its measured size."""
+    top = b.where(F.col("label") != UNKNOWN).groupBy("label").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    return min(256, -(-top // HOT_ROWS)) or 1
+
+
 def multi_label_join(a: DataFrame, b: DataFrame) -> DataFrame:
     """(a_id, b_id) of rows (id, labels array) that share a label."""
     left = a.select(F.col("id").alias("a_id"), F.explode("labels").alias("label")).where(F.col("label") != UNKNOWN)

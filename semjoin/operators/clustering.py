@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from semjoin.functions.text import order_key
+from semjoin.sources.tables import keep
 
 
 def cluster_count(n: int, ratio: float, least: int = 2, most: int | None = None) -> int:
@@ -17,38 +18,41 @@ def cluster_count(n: int, ratio: float, least: int = 2, most: int | None = None)
     return min(k, most) if most else k
 
 
-def distance(v: Column, center: list[int]) -> Column:
-    """Squared distance in integers."""
-    c = F.array(*[F.lit(x).cast("long") for x in center])
-    return F.aggregate(F.zip_with(v, c, lambda x, y: (x - y) * (x - y)), F.lit(0).cast("long"), lambda s, x: s + x)
+def nearest(v: Column, centers: Column) -> Column:
+    """Number of the nearest of an array of centers, by squared distance in integers; the lowest of equals."""
+    far = lambda c: F.aggregate(F.zip_with(v, c, lambda x, y: (x - y) * (x - y)), F.lit(0).cast("long"), lambda s, x: s + x)
+    return F.array_min(F.transform(centers, lambda c, i: F.struct(far(c).alias("d"), i.alias("i"))))["i"]
 
 
-def nearest(v: Column, centers: list[list[int]]) -> Column:
-    """Number of the nearest center; the lowest of equals."""
-    return F.array_min(F.array(*[F.struct(distance(v, c).alias("d"), F.lit(i).alias("i")) for i, c in enumerate(centers)]))["i"]
+def _towards_zero(x: int, n: int) -> int:
+    return x // n if x >= 0 else -(-x // n)
 
 
 def kmeans(points: DataFrame, k: int, seed: int = 7, rounds: int = 5) -> DataFrame:
     """(id, cluster) of points (id, v array of long): Lloyd rounds in exact integers.
 
-    Starts from the k points first in md5 order. Each round broadcasts k centers inside the plan and
-    gathers k sums; an empty cluster keeps its center; means are divided towards zero.
+    Starts from the k points first in md5 order. Each round broadcasts k centers as one row of data, so that the plan
+    does not grow with them, and gathers k sums; an empty cluster keeps its center; means are divided towards zero.
     """
     rows = points.orderBy(order_key(seed, "id"), "id").limit(k).collect()
     centers = [list(r["v"]) for r in rows]
     if not centers:
         return points.select("id", F.lit(0).alias("cluster"))
-    dims = len(centers[0])
+    dims, spark = len(centers[0]), points.sparkSession
+
+    def assigned(centers: list[list[int]]) -> DataFrame:
+        one = spark.createDataFrame([(centers,)], "centers array<array<bigint>>")
+        return points.crossJoin(F.broadcast(one)).select("id", "v", nearest(F.col("v"), F.col("centers")).alias("cluster"))
+
     for _ in range(rounds):
-        near = points.select("v", nearest(F.col("v"), centers).alias("cluster"))
-        sums = near.groupBy("cluster").agg(F.count(F.lit(1)).alias("n"), F.array(*[F.sum(F.col("v")[d]) for d in range(dims)]).alias("s")).collect()
+        sums = assigned(centers).groupBy("cluster").agg(F.count(F.lit(1)).alias("n"), F.array(*[F.sum(F.col("v")[d]) for d in range(dims)]).alias("s")).collect()
         new = list(centers)
         for r in sums:
-            new[r["cluster"]] = [int(math.copysign(abs(x) // r["n"], x)) for x in r["s"]]
+            new[r["cluster"]] = [_towards_zero(x, r["n"]) for x in r["s"]]
         if new == centers:
             break
         centers = new
-    return points.select("id", nearest(F.col("v"), centers).alias("cluster"))
+    return assigned(centers).select("id", "cluster")
 
 
 def kmeans_at_scale(points: DataFrame, k: int, seed: int = 7, rounds: int = 20) -> DataFrame:
@@ -61,7 +65,8 @@ def kmeans_at_scale(points: DataFrame, k: int, seed: int = 7, rounds: int = 20)
     return model.transform(data).select("id", F.col("prediction").alias("cluster"))
 
 
-MAX_DENSE = 5_000
+#: Points that density clustering takes in one task: its time grows with their square, its memory with their number.
+MAX_DENSE = 20_000
 
 
 def hdbscan_labels(x: np.ndarray, min_cluster_size: int = 5, min_samples: int = 5) -> np.ndarray:
@@ -70,15 +75,20 @@ def hdbscan_labels(x: np.ndarray, min_cluster_size: int = 5, min_samples: int =
     n = len(x)
     if n < max(2, min_cluster_size):
         return np.full(n, -1)
-    d = np.sqrt(((x[:, None, :].astype(float) - x[None, :, :]) ** 2).sum(-1))
-    core = np.sort(d, axis=1)[:, min(min_samples, n) - 1]
-    reach = np.maximum(d, np.maximum(core[:, None], core[None, :]))
+    x = x.astype(float)
+
+    def distances(i: int) -> np.ndarray:
+        return np.sqrt(((x - x[i]) ** 2).sum(1))
+
+    kth = min(min_samples, n) - 1
+    core = np.array([np.partition(distances(i), kth)[kth] for i in range(n)])
     in_tree, best, origin, edges = np.zeros(n, bool), np.full(n, np.inf), np.zeros(n, int), []
     at = 0
     for _ in range(n - 1):
         in_tree[at] = True
-        closer = ~in_tree & (reach[at] < best)
-        best[closer], origin[closer] = reach[at][closer], at
+        reach = np.maximum(distances(at), np.maximum(core[at], core))
+        closer = ~in_tree & (reach < best)
+        best[closer], origin[closer] = reach[closer], at
         at = int(np.where(in_tree, np.inf, best).argmin())
         edges.append((best[at], int(origin[at]), at))
     edges.sort()
@@ -153,23 +163,46 @@ def hdbscan_labels(x: np.ndarray, min_cluster_size: int = 5, min_samples: int =
     return out
 
 
-def hdbscan(points: DataFrame, min_cluster_size: int = 5, min_samples: int = 5) -> DataFrame:
-    """(id, cluster) with -1 for noise. Exact, in one task, for at most MAX_DENSE points (checked); more points
-    are first split by k-means at scale into cells, and each cell is clustered by itself."""
+def hdbscan(points: DataFrame, min_cluster_size: int = 5, min_samples: int = 5, cells: bool = False, max_points: int = MAX_DENSE) -> DataFrame:
+    """(id, cluster) with -1 for noise. Exact, in one task, for at most max_points points, which are counted: more of them
+    raise, as the result would be another one. With `cells` that is asked for: k-means at scale deals the points into cells
+    of about max_points / 4, and each is clustered by itself, a cell that is too large after all in cells of its own."""
     import pandas as pd
 
-    n = points.limit(MAX_DENSE + 1).count()
-    if n > MAX_DENSE:
-        total = points.count()
-        cells = kmeans_at_scale(points, -(-total // (MAX_DENSE // 4)))
-        points = points.join(cells.withColumnRenamed("cluster", "cell"), "id")
+    if not cells:
+        n = points.limit(max_points + 1).count()
+        if n > max_points:
+            raise ValueError(f"over {max_points} points: use cells=True or k-means")
+        dealt = points.withColumn("cell", F.lit(0))
     else:
-        points = points.withColumn("cell", F.lit(0))
+        dealt = _cells(points, max_points)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values("id")
         got = hdbscan_labels(np.array(pdf["v"].tolist()), min_cluster_size, min_samples)
         cell = int(pdf["cell"].iloc[0])
-        return pd.DataFrame({"id": pdf["id"].to_numpy(), "cluster": np.where(got < 0, -1, got + cell * MAX_DENSE).astype("int32")})
+        return pd.DataFrame({"id": pdf["id"].to_numpy(), "cluster": np.where(got < 0, -1, got + cell * max_points).astype("int32")})
 
-    return points.select("id", "v", "cell").groupBy("cell").applyInPandas(run, "id long, cluster int")
+    return dealt.select("id", "v", "cell").groupBy("cell").applyInPandas(run, "id long, cluster int")
+
+
+def _cells(points: DataFrame, max_points: int, depth: int = 0) -> DataFrame:
+    """points with `cell`, none of more than max_points points: large cells are dealt again, at last by a hash."""
+    n = points.count()
+    if n <= max_points:
+        return points.withColumn("cell", F.lit(0))
+    k = -(-4 * n // max_points)
+    if depth < 3:
+        found = points.join(kmeans_at_scale(points, k).withColumnRenamed("cluster", "cell"), "id")
+    else:
+        found = points.withColumn("cell", F.pmod(F.xxhash64("id"), F.lit(k)).cast("int"))
+    found = keep(found, "cells")
+    sizes = found.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()
+    large = [r["cell"] for r in sizes if r["n"] > max_points]
+    out = found.where(~F.col("cell").isin(large)) if large else found
+    base = k
+    for c in large:
+        more = _cells(found.where(F.col("cell") == c).drop("cell"), max_points, depth + 1)
+        out = out.unionByName(more.withColumn("cell", F.col("cell") + F.lit(base)))
+        base += 100_000
+    return out

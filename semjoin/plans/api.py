@@ -100,7 +100,7 @@ def _label_join(a: DataFrame, b: DataFrame, labels: list[str], predicate: str, m
     else:
         lb, more = classify(b, labels, predicate, model, options.classify_batch, "b", options.dedupe_text, options.buckets)
         calls = calls.unionByName(more)
-    pairs = classifier.label_equi_join(la, lb).select("a_id", "b_id")
+    pairs = classifier.label_equi_join(la, lb, classifier.salt_for(la)).select("a_id", "b_id")
     return {"pairs": pairs.distinct() if options.multi_label else pairs, "calls": calls, "labelled": (la, lb)}
 
 

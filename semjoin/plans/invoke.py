@@ -8,21 +8,30 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semjoin.models import LanguageModel, Prompt, parse_labels, parse_pairs, parse_texts
+from semjoin.models import UNKNOWN, LanguageModel, Prompt, parse_labels, parse_pairs, parse_texts
 from semjoin.sources.tables import keep
 
 SCHEMA = "row string, stage string, call_id string, attempt int, model string, n_a int, n_b int, in_tok long, out_tok long, status string, ca int, cb int, a_id long, b_id long, answer string"
 _COLUMNS = [x.split()[0] for x in SCHEMA.split(", ")]
 
 
+#: Rows that one task numbers.
+BUCKET_ROWS = 50_000
+
+
 def run_prompts(prompts: DataFrame, kind: str, predicate: str, model: LanguageModel, stage: str, options: tuple[str, ...] = (), split: bool = True, concurrency: int | None = None) -> DataFrame:
     """Ask the model each prompt (call_id, ca, cb, a, b: arrays of struct id, text); rows of SCHEMA, written.
 
     row is call for one line of the log, or pair, label or text for an answer. A malformed reply is asked
-    once more, then counts as no answer. A reply cut by length is split in four (match) or reported
-    as overflow, with its answers dropped. The result is read from storage, so later actions cost no calls.
+    once more, then counts as no answer. A prompt whose reply is cut by length is asked again in parts, four of a match
+    and two of rows, down to one pair or row; what overflows even then is logged as abstained and has the answer of no
+    information: no pair, the label unknown, the text itself. With split=False overflows are reported alone, for a caller
+    that asks again. The result is read from storage, so later actions cost no calls.
     """
 
+    def blank(a) -> list:
+        return [] if kind == "match" else [UNKNOWN] * len(a) if kind == "classify" else [x["text"] for x in a]
+
     def ask(row, a, b, attempt: int) -> Iterator[tuple]:
         prompt = Prompt(kind, predicate, tuple(x["text"] for x in a), tuple(x["text"] for x in b), options)
         while True:
@@ -34,7 +43,8 @@ def run_prompts(prompts: DataFrame, kind: str, predicate: str, model: LanguageMo
             else:
                 got, status = parse_texts(reply.text, [x["text"] for x in a])
             if reply.finish == "length":
-                got, status = [], "overflow"
+                last = split and len(a) * (len(b) if kind == "match" else 1) == 1
+                got, status = blank(a), "abstained" if last else "overflow"
             yield ("call", stage, row.call_id, attempt, model.name, len(a), len(b), reply.in_tok, reply.out_tok, status, row.ca, row.cb, None, None, None)
             if status != "malformed" or attempt >= 2:
                 break
@@ -44,6 +54,10 @@ def run_prompts(prompts: DataFrame, kind: str, predicate: str, model: LanguageMo
             for part_a in filter(len, (a[:h], a[h:])):
                 for part_b in filter(len, (b[:k], b[k:])):
                     yield from ask(row, part_a, part_b, attempt + 1)
+        elif status == "overflow" and split and kind != "match":
+            h = (len(a) + 1) // 2
+            for part in (a[:h], a[h:]):
+                yield from ask(row, part, b, attempt + 1)
         elif kind == "match":
             for i, j in got:
                 yield ("pair", stage, row.call_id, attempt, model.name, None, None, None, None, None, row.ca, row.cb, a[i]["id"], b[j]["id"], None)
@@ -72,10 +86,13 @@ def pairs_of(answers: DataFrame) -> DataFrame:
 
 def batches(rows: DataFrame, size: int, buckets: int | None = None, by: tuple[str, ...] = ()) -> DataFrame:
     """rows (id, text, *by) in lists of at most `size`: (*by, blk, items). Numbering is exact inside each
-    hash bucket of ids; one bucket gives the least number of batches, more buckets scale."""
+    hash bucket of ids; one bucket gives the least number of batches, more buckets scale. Without a number there is a
+    bucket for each BUCKET_ROWS rows, counted."""
     from pyspark.sql import Window
 
-    dealt = rows.withColumn("bucket", F.pmod(F.xxhash64("id"), F.lit(buckets or 1)).cast("int"))
+    if buckets is None:
+        buckets = -(-rows.count() // BUCKET_ROWS)
+    dealt = rows.withColumn("bucket", F.pmod(F.xxhash64("id"), F.lit(max(1, buckets))).cast("int"))
     numbered = dealt.withColumn("blk", ((F.row_number().over(Window.partitionBy(*by, "bucket").orderBy("id")) - 1) / F.lit(size)).cast("int"))
     grouped = numbered.groupBy(*by, "bucket", "blk").agg(F.sort_array(F.collect_list(F.struct("id", "text"))).alias("items"))
     return grouped.withColumn("blk", F.concat_ws("-", "bucket", "blk")).drop("bucket")

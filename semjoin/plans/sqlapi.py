@@ -18,18 +18,18 @@ _FORM = re.compile(r"^\s*SELECT\s+(?P<cols>.+?)\s+FROM\s+(?P<a>\w+)\s+SEMANTIC\s
 
 def sql(spark: SparkSession, query: str, model: LanguageModel, options: JoinOptions = JoinOptions()) -> DataFrame:
     """Run a query of the form above over views with columns id, text and others; the sentence is never put
-    into SQL. Conditions joined by AND that name one view alone are applied below the join, so that rows
-    they exclude cost no tokens; the others stay above it."""
+    into SQL. The engine's parser takes WHERE apart: conditions joined by AND that name one view alone are applied below the
+    join, so that rows they exclude cost no tokens; the others stay above it."""
     m = _FORM.match(query)
     if m is None:
         raise ValueError("expected SELECT ... FROM a SEMANTIC JOIN b ON MATCHES('...') [WHERE ...]")
     names, above = (m["a"], m["b"]), []
     below: dict[str, list[str]] = {n: [] for n in names}
-    for part in re.split(r"\s+AND\s+", m["where"] or "", flags=re.I):
-        used = [n for n in names if re.search(rf"\b{n}\.", part)]
-        if part and len(used) == 1:
+    for part in conjuncts(spark, m["where"]) if m["where"] else ():
+        used = [n for n in names if re.search(rf"\b{n}\.", re.sub(r"'[^']*'", "''", part))]
+        if len(used) == 1:
             below[used[0]].append(part)
-        elif part:
+        else:
             above.append(part)
     sides = {}
     for n in names:
@@ -45,6 +45,18 @@ def sql(spark: SparkSession, query: str, model: LanguageModel, options: JoinOpti
     return out.selectExpr(*[c.strip() for c in re.split(r",(?![^(]*\))", m["cols"])])
 
 
+def conjuncts(spark: SparkSession, condition: str) -> list[str]:
+    """The conditions that AND joins at the top of a condition, as the engine reads it."""
+    todo, out = [spark._jsparkSession.sessionState().sqlParser().parseExpression(condition)], []
+    while todo:
+        x = todo.pop()
+        if x.getClass().getSimpleName() == "And":
+            todo += [x.right(), x.left()]
+        else:
+            out.append(x.sql())
+    return out
+
+
 def register_classify(spark: SparkSession, name: str, question: str, labels: tuple[str, ...], model: LanguageModel, batch: int = 25) -> None:
     """name(text) in SQL: the label of each row, asked in batches of an Arrow batch."""
 

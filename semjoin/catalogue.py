@@ -446,6 +446,18 @@ def cnf_join_w3(spark, sf_dir):
     return _cnf(spark, sf_dir)["matches"].select("a_id", "b_id")
 
 
+def _model_cnf(name: str, **params):
+    def run(spark, sf_dir):
+        w = workload(spark, sf_dir, name)
+        return baselines.model_feature_cnf_join(w.a, w.b, w.predicate, model_of(w), **params)["matches"].select("a_id", "b_id")
+
+    return run
+
+
+query(truth_sql("w2"), "cnf_join_extracted_w2")(_model_cnf("w2"))
+query(truth_sql("w3"), "cnf_join_extracted_w3")(_model_cnf("w3"))
+
+
 @query(truth_sql("w3"))
 def cnf_candidates_w3(spark, sf_dir):
     w = workload(spark, sf_dir, "w3")
@@ -559,15 +571,17 @@ def tokens_by_stage_rollup(spark, sf_dir):
 # Tuning and experiments.
 
 
-@query()
-def cluster_grid_w2(spark, sf_dir):
-    w = workload(spark, sf_dir, "w2")
-    return tuning.cluster_grid(w.a, w.b, w.truth, w.predicate, model_of(w), JoinOptions(), "w2")
+def _grid(name: str):
+    def run(spark, sf_dir):
+        w = workload(spark, sf_dir, name)
+        return tuning.cluster_grid(w.a, w.b, w.truth, w.predicate, model_of(w), JoinOptions(), name)
 
+    return run
 
-@query()
-def pick_config_w2(spark, sf_dir):
-    return M.pick_config(cluster_grid_w2(spark, sf_dir))
+
+for _name in ("w1", "w2", "w3"):
+    query(None, f"cluster_grid_{_name}")(_grid(_name))
+    query(None, f"pick_config_{_name}")(lambda spark, sf_dir, n=_name: M.pick_config(_grid(n)(spark, sf_dir)))
 
 
 _GRID = [("p", 0.05, 0, 80.0, 1000), ("p", 0.05, 5, 79.0, 950), ("p", 0.1, 5, 78.0, 880), ("p", 0.1, 20, 77.4, 500), ("q", 0.05, 0, 60.0, 1000), ("q", 0.05, 10, 59.9, 990)]
@@ -590,19 +604,23 @@ def block_sweep_noisy(spark, sf_dir):
 
 
 @query()
-def projection_ablation_w3(spark, sf_dir):
-    w, out = workload(spark, sf_dir, "w3"), None
-    for on in (False, True):
-        got = cj.cluster_join(w.a, w.b, w.predicate, model_of(w), JoinOptions(), projected=on)
-        row = M.score(got["matches"], w.truth).crossJoin(M.token_cost(got["calls"])).select(F.lit(on).alias("projected"), "recall", "precision", "f1", "tokens", "calls")
-        out = row if out is None else out.unionByName(row)
-    return out
+def projection_ablation(spark, sf_dir):
+    """Cluster join without and with projection on the three workloads, and what projection changes: points of F1, percent of tokens."""
+    out = None
+    for name in ("w1", "w2", "w3"):
+        w = workload(spark, sf_dir, name)
+        for on in (False, True):
+            got = cj.cluster_join(w.a, w.b, w.predicate, model_of(w), JoinOptions(), projected=on)
+            row = M.score(got["matches"], w.truth).crossJoin(M.token_cost(got["calls"])).select(F.lit(name).alias("workload"), F.lit(on).alias("projected"), "recall", "precision", "f1", "tokens", "calls")
+            out = row if out is None else out.unionByName(row)
+    off = out.where("not projected").select("workload", F.col("f1").alias("f0"), F.col("tokens").alias("t0"))
+    return out.join(off, "workload").select(*out.columns, F.round(F.col("f1") - F.col("f0"), 2).alias("points"), F.round(100.0 * (F.col("tokens") - F.col("t0")) / F.col("t0"), 1).alias("more_tokens"))
 
 
 @query()
 def main_comparison(spark, sf_dir):
-    """Every strategy on the three workloads, three trials, averaged: recall, precision, F1 and tokens."""
-    out = None
+    """Every strategy on the three workloads, three trials, averaged: recall, precision, F1 and tokens; the routed one is marked."""
+    out, routes = None, []
     for name in ("w1", "w2", "w3"):
         w = workload(spark, sf_dir, name)
         for trial, seed in enumerate((7, 11, 13)):
@@ -610,11 +628,16 @@ def main_comparison(spark, sf_dir):
             label = semantic_join(w.a, w.b, w.predicate, model, JoinOptions(force_strategy="label", label_table=name == "w3", labels=("low", "high") if name == "w1" else None, seed=seed))
             cluster = cj.cluster_join(w.a, w.b, w.predicate, model, o)
             adaptive = baselines.adaptive_block_join(w.a, w.b, w.predicate, lambda most, m=w.rule, s=seed: NoisyModel(RulebookModel(m, most), s, 0.1, 0.0005), 4000)
-            runs = {"label": (label.pairs, label.calls), "cluster": (cluster["matches"], cluster["calls"]), "adaptive": adaptive[:2]}
+            cnf = baselines.model_feature_cnf_join(w.a, w.b, w.predicate, model, seed=seed)
+            runs = {"label": (label.pairs, label.calls), "cluster": (cluster["matches"], cluster["calls"]), "adaptive": adaptive[:2], "feature-cnf": (cnf["matches"], cnf["calls"])}
             for strategy, (pairs, calls) in runs.items():
                 row = M.score(pairs, w.truth).crossJoin(M.token_cost(calls)).select(F.lit(name).alias("workload"), F.lit(strategy).alias("strategy"), F.lit(trial).alias("trial"), "recall", "precision", "f1", "tokens")
                 out = row if out is None else out.unionByName(row)
-    return M.average_trials(out, "workload", "strategy")
+        from semjoin.plans.advisor import Advisor
+
+        routes.append((name, Advisor(w.a, w.b, w.predicate, model_of(w), JoinOptions(label_table=name == "w3")).decide("strategy")))
+    routed = values(spark, routes, "workload string, route string")
+    return M.average_trials(out, "workload", "strategy").join(routed, "workload").select("workload", "strategy", "recall", "precision", "f1", "tokens", (F.col("strategy") == F.col("route")).alias("routed"))
 
 
 # Semantic operators around the join.

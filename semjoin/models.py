@@ -16,7 +16,7 @@ UNKNOWN = "unknown"
 
 @dataclasses.dataclass(frozen=True)
 class Prompt:
-    kind: str  # all | strategy | embedding | projection | clustering | labels | classify | project | match
+    kind: str  # all | strategy | embedding | projection | clustering | labels | classify | project | match | propose | feature
     predicate: str
     a: tuple[str, ...] = ()
     b: tuple[str, ...] = ()
@@ -29,6 +29,8 @@ class Prompt:
             "strategy": "Choose how to evaluate the join. Answer with one name.", "embedding": "Choose the text encoder. Answer with one name.",
             "projection": "Should rows of A be rewritten to look like rows of B first? Answer on or off.", "clustering": "Choose the clustering method. Answer with one name.",
             "labels": "List the classes that rows of B fall into, as a JSON list.", "classify": "Give each row one class of the list, as JSON pairs of number and class.",
+            "propose": "Name features of single rows by which pairs that satisfy the condition could be told, as a JSON list.",
+            "feature": "For each row give the value of the feature, as JSON pairs of number and value.",
             "project": "For each row of A write what its partner in B would look like, as JSON pairs of number and text.", "match": "List all pairs of row numbers that satisfy the condition, as a JSON list.",
         }[self.kind]
         rows = [f"{s}{i}: {t}" for s, side in (("A", self.a), ("B", self.b)) for i, t in enumerate(side)]
@@ -172,6 +174,12 @@ class RulebookModel(LanguageModel):
     def _project(self, p: Prompt, rule: Rule) -> str:
         return json.dumps([[i, rule.project(t) if rule.project else t] for i, t in enumerate(p.a)])
 
+    def _propose(self, p: Prompt, rule: Rule) -> str:
+        return json.dumps(["class"] if rule.label else ["words"])
+
+    def _feature(self, p: Prompt, rule: Rule) -> str:
+        return json.dumps([[i, rule.label(t) if rule.label and p.options == ("class",) else t] for i, t in enumerate(p.a)])
+
     def _match(self, p: Prompt, rule: Rule) -> str:
         return json.dumps([[i, j] for i, x in enumerate(p.a) for j, y in enumerate(p.b) if rule.match(x, y)])
 

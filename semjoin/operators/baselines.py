@@ -5,13 +5,15 @@ from __future__ import annotations
 import dataclasses
 import itertools
 import math
+import re
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from semjoin.functions.text import ENCODERS, bottom_n, order_key, tokens
-from semjoin.models import LanguageModel
-from semjoin.plans.invoke import block_prompts, calls_of, pairs_of, run_prompts
+from semjoin.models import UNKNOWN, LanguageModel, Prompt, parse_list
+from semjoin.plans.invoke import block_prompts, calls_of, pairs_of, row_prompts, run_prompts
+from semjoin.sources.tables import CALLS
 
 
 def block_join(a: DataFrame, b: DataFrame, predicate: str, model: LanguageModel, block: tuple[int, int] = (15, 15), stage: str = "match", buckets: int | None = None) -> tuple[DataFrame, DataFrame]:
@@ -194,22 +196,88 @@ def fit_cnf(sample: list[dict], literals: list[Literal], recall_target: float =
     return chosen, bound if chosen else 1.0
 
 
-def feature_cnf_join(a: DataFrame, b: DataFrame, literals: list[Literal], predicate: str, model: LanguageModel, sample_size: int = 600, recall_target: float = 0.9, delta: float = 0.05, seed: int = 7) -> dict:
+def _single(rows: DataFrame, stage: str) -> DataFrame:
+    """A prompt for each pair (a_id, b_id, a_text, b_text)."""
+    one = lambda x: F.array(F.struct(F.col(f"{x}_id").alias("id"), F.col(f"{x}_text").alias("text"))).alias(x)
+    none = F.lit(None).cast("int")
+    return rows.select(F.concat_ws(":", F.lit(stage), "a_id", "b_id").alias("call_id"), none.alias("ca"), none.alias("cb"), one("a"), one("b"))
+
+
+def drawn_pairs(fa: DataFrame, fb: DataFrame, size: int, seed: int = 7) -> DataFrame:
+    """`size` pairs of drawn rows, lowest by md5: a square of rows of both sides, longer on one where the other is short.
+    Only drawn rows are paired."""
+    take = lambda x, key, n: x.orderBy(order_key(seed, key), key).limit(n)
+    side = math.ceil(math.sqrt(size))
+    n_b = max(1, take(fb, "b_id", side).count())
+    left = take(fa, "a_id", math.ceil(size / n_b))
+    right = take(fb, "b_id", math.ceil(size / max(1, left.count())))
+    return left.crossJoin(F.broadcast(right)).orderBy(order_key(seed, "a_id", "b_id"), "a_id", "b_id").limit(size)
+
+
+def cnf_candidates(fa: DataFrame, fb: DataFrame, clauses: list[list[Literal]]) -> DataFrame:
+    """Pairs that satisfy the clauses: a hash join on clauses of one equality, a nested loop where there is none."""
+    keys = [c[0].feature for c in clauses if len(c) == 1 and c[0].distance == "equal" and c[0].theta < 1]
+    if not keys:
+        return fa.crossJoin(fb).where(cnf_holds(clauses))
+    on = F.lit(True)
+    for k in keys:
+        on = on & F.col(f"a_{k}").eqNullSafe(F.col(f"b_{k}"))
+    return fa.join(fb, on).where(cnf_holds(clauses))
+
+
+def feature_cnf_join(a: DataFrame, b: DataFrame, literals: list[Literal], predicate: str, model: LanguageModel, sample_size: int = 600, recall_target: float = 0.9, delta: float = 0.05, seed: int = 7, precision_target: float | None = None) -> dict:
     """a and b: (id, text, feature columns). Learns clauses from a labelled sample of pairs, prunes with them
-    and verifies what is left pair by pair; without a useful clause all pairs are verified."""
+    and verifies what is left pair by pair; without a useful clause all pairs are verified. With a precision_target,
+    survivors are taken without being verified if a lower bound of their precision on the held-out half of the sample
+    reaches it."""
     fa = a.select(F.col("id").alias("a_id"), F.col("text").alias("a_text"), *[F.col(c).alias(f"a_{c}") for c in a.columns if c not in ("id", "text")])
     fb = b.select(F.col("id").alias("b_id"), F.col("text").alias("b_text"), *[F.col(c).alias(f"b_{c}") for c in b.columns if c not in ("id", "text")])
-    pairs = fa.crossJoin(fb)
-    drawn = pairs.orderBy(order_key(seed, "a_id", "b_id"), "a_id", "b_id").limit(sample_size)
+    drawn = drawn_pairs(fa, fb, sample_size, seed)
     drawn = drawn.select("a_id", "b_id", "a_text", "b_text", *[literal_holds(x).alias(f"l{i}") for i, x in enumerate(literals)])
-    labelled = run_prompts(drawn.select(F.concat_ws(":", F.lit("feature"), "a_id", "b_id").alias("call_id"), F.lit(None).cast("int").alias("ca"), F.lit(None).cast("int").alias("cb"), F.array(F.struct(F.col("a_id").alias("id"), F.col("a_text").alias("text"))).alias("a"), F.array(F.struct(F.col("b_id").alias("id"), F.col("b_text").alias("text"))).alias("b")), "match", predicate, model, "feature")
+    labelled = run_prompts(_single(drawn, "feature"), "match", predicate, model, "feature")
     truth = {(r["a_id"], r["b_id"]) for r in pairs_of(labelled).collect()}
     sample = [{**{x: r[f"l{i}"] for i, x in enumerate(literals)}, "match": (r["a_id"], r["b_id"]) in truth} for r in drawn.orderBy(order_key(seed, "a_id", "b_id")).collect()]
     clauses, bound = fit_cnf(sample, literals, recall_target, delta)
-    survivors = pairs.where(cnf_holds(clauses))
-    prompts = survivors.select(F.concat_ws(":", F.lit("verify"), "a_id", "b_id").alias("call_id"), F.lit(None).cast("int").alias("ca"), F.lit(None).cast("int").alias("cb"), F.array(F.struct(F.col("a_id").alias("id"), F.col("a_text").alias("text"))).alias("a"), F.array(F.struct(F.col("b_id").alias("id"), F.col("b_text").alias("text"))).alias("b"))
-    answers = run_prompts(prompts, "match", predicate, model, "verify")
-    return {"matches": pairs_of(answers), "calls": calls_of(labelled).unionByName(calls_of(answers)), "clauses": clauses, "bound": bound, "survivors": survivors.select("a_id", "b_id")}
+    survivors = cnf_candidates(fa, fb, clauses)
+    passed = [r["match"] for r in sample[1::2] if all(any(r[x] for x in c) for c in clauses)]
+    precision = recall_bound(sum(passed), len(passed), delta)
+    out = {"clauses": clauses, "bound": bound, "precision_bound": precision, "survivors": survivors.select("a_id", "b_id")}
+    if precision_target is not None and clauses and precision >= precision_target:
+        return {**out, "matches": survivors.select("a_id", "b_id"), "calls": calls_of(labelled)}
+    answers = run_prompts(_single(survivors, "verify"), "match", predicate, model, "verify")
+    return {**out, "matches": pairs_of(answers), "calls": calls_of(labelled).unionByName(calls_of(answers))}
+
+
+def propose_features(a: DataFrame, b: DataFrame, predicate: str, model: LanguageModel, sample: int = 10, seed: int = 7) -> tuple[list[str], tuple]:
+    """Names of features that the model proposes from samples of both sides, and the log line of that call."""
+    text = lambda x: tuple(r["text"] for r in bottom_n(x, sample, seed).select("text").collect())
+    left, right = text(a), text(b)
+    reply = model.complete(Prompt("propose", predicate, left, right))
+    names = [x for x in parse_list(reply.text) if x != UNKNOWN and re.fullmatch(r"\w+", x) and x not in ("id", "text")]
+    return names, ("propose", 1, model.name, len(left), len(right), reply.in_tok, reply.out_tok, "ok" if names else "malformed", "propose")
+
+
+def extract_features(rows: DataFrame, names: list[str], predicate: str, model: LanguageModel, batch: int = 25, side: str = "a") -> tuple[DataFrame, list[DataFrame]]:
+    """rows (id, text) with a text column for each feature, asked in batches, and the call logs."""
+    out, logs = rows, []
+    for name in names:
+        answers = run_prompts(row_prompts(rows, batch, f"extract-{side}-{name}"), "feature", predicate, model, "extract", (name,))
+        out = out.join(answers.where("row = 'answer'").select(F.col("a_id").alias("id"), F.col("answer").alias(name)), "id", "left")
+        logs.append(calls_of(answers))
+    return out, logs
+
+
+def model_feature_cnf_join(a: DataFrame, b: DataFrame, predicate: str, model: LanguageModel, batch: int = 25, **params) -> dict:
+    """The feature baseline from end to end: the model proposes features and extracts each from every row, distances
+    of them become clauses, and the model verifies what they leave (see feature_cnf_join)."""
+    names, line = propose_features(a, b, predicate, model)
+    fa, logs_a = extract_features(a, names, predicate, model, batch, "a")
+    fb, logs_b = extract_features(b, names, predicate, model, batch, "b")
+    literals = [Literal(n, d, t) for n in names for d, t in (("equal", 0.0), ("missing_word", 0.0), ("jaccard", 0.7), ("edit", 3.0))]
+    out = feature_cnf_join(fa, fb, literals, predicate, model, **params)
+    for log in [a.sparkSession.createDataFrame([line], CALLS), *logs_a, *logs_b]:
+        out["calls"] = out["calls"].unionByName(log.select(*out["calls"].columns))
+    return out | {"features": names}
 
 
 def similarity_topk(points: DataFrame, queries: DataFrame, k: int = 3) -> DataFrame:
@@ -246,6 +314,5 @@ def project_filter_join(a: DataFrame, b: DataFrame, predicate: str, model: Langu
     projected, calls = project(a, b, predicate, model, options)
     near = similar_pairs(projected, b, encoder, num, den)
     rows = near.join(a.select(F.col("id").alias("a_id"), F.col("text").alias("ta")), "a_id").join(b.select(F.col("id").alias("b_id"), F.col("text").alias("tb")), "b_id")
-    prompts = rows.select(F.concat_ws(":", F.lit("verify"), "a_id", "b_id").alias("call_id"), F.lit(None).cast("int").alias("ca"), F.lit(None).cast("int").alias("cb"), F.array(F.struct(F.col("a_id").alias("id"), F.col("ta").alias("text"))).alias("a"), F.array(F.struct(F.col("b_id").alias("id"), F.col("tb").alias("text"))).alias("b"))
-    answers = run_prompts(prompts, "match", predicate, model, "verify")
+    answers = run_prompts(_single(rows.withColumnsRenamed({"ta": "a_text", "tb": "b_text"}), "verify"), "match", predicate, model, "verify")
     return {"matches": pairs_of(answers), "calls": calls.unionByName(calls_of(answers)), "survivors": near}

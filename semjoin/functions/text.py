@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import re
+from collections.abc import Callable, Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -42,14 +46,19 @@ def bottom_n(df: DataFrame, n: int, seed: int = 7, key: str = "id") -> DataFrame
     return df.orderBy(order_key(seed, key), key).limit(n)
 
 
+def cut_fields(text: Column, delim: str = DELIMITER, max_chars: int = MAX_CHARS) -> Column:
+    """A serialized row with each field cut, not the row: a long first field hides no later one. Null is empty."""
+    return F.concat_ws(delim, F.transform(F.split(text, re.escape(delim)), lambda f: F.substring(f, 1, max_chars)))
+
+
 def embed_words(text: Column, dims: int = DIMS) -> Column:
-    """Counts of hashed words of the first MAX_CHARS characters: a stand-in encoder with exact integers."""
-    words = F.filter(F.split(F.lower(F.substring(text, 1, MAX_CHARS)), NOT_WORD), lambda w: w != "")
+    """Counts of hashed words, at most MAX_CHARS characters of a field: a stand-in encoder with exact integers."""
+    words = F.filter(F.split(F.lower(cut_fields(text)), NOT_WORD), lambda w: w != "")
     return _counts(F.transform(words, lambda w: F.pmod(md5_int(w), F.lit(dims))), dims)
 
 
 def embed_trigrams(text: Column, dims: int = DIMS) -> Column:
-    low = F.lower(F.substring(text, 1, MAX_CHARS))
+    low = F.lower(cut_fields(text))
     grams = F.when(F.length(low) < 3, F.array(low)).otherwise(F.transform(F.sequence(F.lit(1), F.greatest(F.length(low) - 2, F.lit(1))), lambda i: F.substring(low, i, F.lit(3))))
     return _counts(F.transform(grams, lambda w: F.pmod(md5_int(w), F.lit(dims))), dims)
 
@@ -68,3 +77,19 @@ def quantize(vector: Column) -> Column:
 #: installed run as the local stand-in given here, and reports say so.
 ENCODERS = {"all-mpnet-base-v2": embed_words, "all-MiniLM-L6-v2": embed_trigrams, "hash-word-64": embed_words, "hash-char3-64": embed_trigrams}
 STAND_INS = {"all-mpnet-base-v2": "hash-word-64", "all-MiniLM-L6-v2": "hash-char3-64"}
+
+
+def register_encoder(name: str, load: Callable[[], Callable[[list[str]], list]], replaces: str | None = None) -> None:
+    """Make an encoder known by name. load runs once in each Python worker and returns a function from a list
+    of texts to float vectors, which is called in Arrow batches; vectors are kept in millionths, as integers.
+    replaces: a name whose stand-in gives way to this encoder. Register before the advisor is asked."""
+
+    @F.pandas_udf("array<bigint>")
+    def encode(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        run = load()
+        for texts in batches:
+            yield pd.Series([[round(float(x) * 1e6) for x in v] for v in run(texts.fillna("").tolist())], dtype=object)
+
+    for known in filter(None, (name, replaces)):
+        ENCODERS[known] = lambda text: encode(cut_fields(text))
+        STAND_INS.pop(known, None)

@@ -95,8 +95,14 @@ def person_of(text: str) -> str:
     return f"person {m[1]}" if m else UNKNOWN
 
 
+_THIRD = re.compile(r"person (\d+) .* in the (early|middle|late) part of the month")
+_FIRST_DAY = {"early": 1, "middle": 11, "late": 21}
+
+
 def contradicts(a: str, b: str) -> bool:
     x, y = _NOTE.search(a), _NOTE.search(b)
+    if x and (third := _THIRD.search(b)):
+        return third[1] == x[1] and _FIRST_DAY[third[2]] < int(x[2][-2:])
     return bool(x and y and x[1] == y[1] and y[2] < x[2])
 
 
@@ -104,6 +110,11 @@ def has_word(a: str, b: str) -> bool:
     return f" {b} " in f" {a} "
 
 
+def page_language_of(html: str) -> str:
+    m = re.search('<html lang="([a-z]+)"', html)
+    return m[1] if m else UNKNOWN
+
+
 @dataclasses.dataclass(frozen=True)
 class Rule:
     """label: class of one row, or None; match: whether a pair fits; project: what A's partner looks like."""
@@ -117,6 +128,7 @@ RULES = {
     "quality": Rule(quality_of, lambda a, b: quality_of(a) == quality_of(b), quality_of),
     "toxic": Rule(toxic_of, lambda a, b: toxic_of(a) == toxic_of(b), toxic_of),
     "language": Rule(language_of, lambda a, b: language_of(a) == language_of(b) != UNKNOWN, language_of),
+    "page_language": Rule(page_language_of, lambda a, b: page_language_of(a) == page_language_of(b) != UNKNOWN, page_language_of),
     "contradiction": Rule(person_of, contradicts, lambda a: a.replace("says first notice was", "was told")),
     "tag": Rule(None, has_word, lambda a: a.split()[-2] if len(a.split()) > 1 else a),
     "contains": Rule(None, lambda a, b: b in a, None),
@@ -185,19 +197,30 @@ class RulebookModel(LanguageModel):
 
 
 class NoisyModel(LanguageModel):
-    """A base model whose pairs are lost with a share of base_miss + slope * (compared pairs), by an md5 coin."""
+    """A base model whose pairs are lost with a share of base_miss + slope * (compared pairs), by an md5 coin. With
+    spurious, that share of the other pairs is reported too; with unsure, that share of rows is labelled unknown."""
 
-    def __init__(self, base: LanguageModel, seed: int = 7, base_miss: float = 0.0, slope: float = 0.0):
+    def __init__(self, base: LanguageModel, seed: int = 7, base_miss: float = 0.0, slope: float = 0.0, spurious: float = 0.0, unsure: float = 0.0):
         self.base, self.seed, self.base_miss, self.slope, self.name = base, seed, base_miss, slope, f"noisy:{base.name}"
+        self.spurious, self.unsure = round(10_000 * spurious), round(10_000 * unsure)
+
+    def _coin(self, *parts: str) -> int:
+        return int(hashlib.md5(":".join((str(self.seed), *parts)).encode()).hexdigest()[:8], 16) % 10_000
 
     def complete(self, prompt: Prompt) -> Reply:
         reply = self.base.complete(prompt)
-        if prompt.kind != "match" or reply.finish == "length":
+        if reply.finish == "length" or prompt.kind not in ("match", "classify"):
             return reply
+        if prompt.kind == "classify":
+            labels, _ = parse_labels(reply.text, len(prompt.a), list(prompt.options))
+            return self.reply(prompt, json.dumps([[i, UNKNOWN if self._coin(prompt.a[i]) < self.unsure else x] for i, x in enumerate(labels)])) if self.unsure else reply
         miss = round(10_000 * min(0.95, self.base_miss + self.slope * len(prompt.a) * len(prompt.b)))
-        coin = lambda i, j: int(hashlib.md5(f"{self.seed}:{prompt.a[i]}:{prompt.b[j]}".encode()).hexdigest()[:8], 16) % 10_000
         pairs, _ = parse_pairs(reply.text, len(prompt.a), len(prompt.b))
-        return self.reply(prompt, json.dumps([[i, j] for i, j in pairs if coin(i, j) >= miss]))
+        said = [[i, j] for i, j in pairs if self._coin(prompt.a[i], prompt.b[j]) >= miss]
+        if self.spurious:
+            right = set(pairs)
+            said += [[i, j] for i, x in enumerate(prompt.a) for j, y in enumerate(prompt.b) if (i, j) not in right and self._coin("spurious", x, y) < self.spurious]
+        return self.reply(prompt, json.dumps(said))
 
 
 class ScriptedModel(LanguageModel):

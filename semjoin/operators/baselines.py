@@ -293,18 +293,56 @@ def similarity_topk(points: DataFrame, queries: DataFrame, k: int = 3) -> DataFr
 
 
 def similar_pairs(a: DataFrame, b: DataFrame, encoder: str, num: int, den: int) -> DataFrame:
-    """(a_id, b_id) whose cosine is at least num/den, decided in integers: dot^2 * den^2 >= num^2 * |a|^2 * |b|^2."""
+    """(a_id, b_id) whose cosine is at least num/den > 0, decided in integers: dot^2 * den^2 >= num^2 * |a|^2 * |b|^2.
+
+    A hash join on shared places, without loss: places are ordered from rare to common, and of each vector only
+    those are keys from which on the rest still has num/den of its length. By the Cauchy-Schwarz inequality the first common place
+    of a similar pair is a key of both, and the pair is made at that place alone. Vectors of zeros are like nothing."""
     unit = lambda x, i, v: x.select(F.col("id").alias(i), ENCODERS[encoder](F.coalesce(F.col("embed_text"), F.col("text")) if "embed_text" in x.columns else F.col("text")).alias(v))
     total = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0).cast("long"), lambda s, p: s + p)
     left = unit(a, "a_id", "va").withColumn("na", total("va", "va"))
     right = unit(b, "b_id", "vb").withColumn("nb", total("vb", "vb"))
-    hot = F.arrays_overlap(_places("va"), _places("vb"))
-    joined = left.crossJoin(right).where(hot & (total("va", "vb") * total("va", "vb") * den * den >= num * num * F.col("na") * F.col("nb")))
-    return joined.select("a_id", "b_id")
-
-
-def _places(v: str) -> Column:
-    return F.filter(F.transform(v, lambda x, i: F.when(x > 0, i)), lambda x: x.isNotNull())
+    counted = left.select(F.explode(_places(F.col("va"))).alias("place")).unionByName(right.select(F.explode(_places(F.col("vb"))).alias("place"))).groupBy("place").count()
+    order = [r["place"] for r in sorted(counted.collect(), key=lambda r: (r["count"], r["place"]))]  # one a dimension of the encoder
+    if not order:
+        return left.select("a_id").crossJoin(right.select("b_id")).limit(0)
+    by_rarity = F.array(*[F.lit(x) for x in order])
+
+    def keyed(x: DataFrame, v: str, n: str) -> DataFrame:
+        ranked = x.withColumn(v, F.transform(by_rarity, lambda p: F.get(F.col(v), p)))
+        rest = lambda i: F.aggregate(F.slice(v, i + 1, F.lit(len(order))), F.lit(0).cast("long"), lambda s, p: s + p * p)
+        return ranked.withColumn("key", F.explode(F.filter(_places(F.col(v)), lambda i: rest(i) * den * den >= num * num * F.col(n))))
+
+    joined = keyed(left, "va", "na").join(keyed(right, "vb", "nb"), "key")
+    first = F.array_min(F.array_intersect(_places(F.col("va")), _places(F.col("vb"))))
+    dot = total("va", "vb")
+    return joined.where((F.col("key") == first) & (dot > 0) & (dot * dot * den * den >= num * num * F.col("na") * F.col("nb"))).select("a_id", "b_id")
+
+
+def _places(v: Column) -> Column:
+    return F.filter(F.transform(v, lambda x, i: F.when(x != 0, i)), lambda x: x.isNotNull())
+
+
+def containment_join(docs: DataFrame, passages: DataFrame, broadcast_bytes: int = 64 << 20) -> DataFrame:
+    """(a_id, b_id) of texts (a_id, text) that hold a passage (b_id, passage), exactly.
+
+    Inner words of a passage stand between blanks in any text that holds it, so a run of three of them is
+    a key: hash join on the run with the least hash, then the whole passage is looked for. Passages of fewer than five words have no
+    such run and are compared with every text. Null passages and texts are in no pair; an empty passage is in every text."""
+
+    def runs(text: str):
+        # The outer array binds the words to a variable, so a text is split once, not once a run.
+        hashes = lambda w: F.transform(F.sequence(F.lit(2), F.size(w) - 3), lambda i: F.xxhash64(F.get(w, i - 1), F.get(w, i), F.get(w, i + 1)))
+        return F.transform(F.array(F.split(text, " ")), lambda w: F.when(F.size(w) >= 5, hashes(w)))[0]
+
+    items = passages.select("b_id", "passage", F.array_min(runs("passage")).alias("key")).where(F.col("passage").isNotNull())
+    long, short = items.where(F.col("key").isNotNull()), items.where(F.col("key").isNull()).select("b_id", "passage")
+    texts = docs.select("a_id", "text").where(F.col("text").isNotNull())
+    seen = texts.select("a_id", "text", F.explode(F.array_distinct(runs("text"))).alias("key"))
+    few = (long.agg(F.sum(F.octet_length("passage") + 16)).first()[0] or 0) <= broadcast_bytes
+    found = seen.join(F.broadcast(long), "key") if few else texts.join(seen.select("a_id", "key").join(long.select("b_id", "key"), "key").select("a_id", "b_id"), "a_id").join(long.select("b_id", "passage"), "b_id")
+    out = found.where(F.contains("text", "passage")).select("a_id", "b_id")
+    return out.unionByName(texts.join(short, F.contains("text", "passage")).select("a_id", "b_id"))
 
 
 def project_filter_join(a: DataFrame, b: DataFrame, predicate: str, model: LanguageModel, options, num: int = 1, den: int = 2, encoder: str = "hash-word-64") -> dict[str, DataFrame]:

@@ -58,8 +58,13 @@ class Decision:
 CHOICES = {"strategy": ("cluster", "label"), "embedding": tuple(ENCODERS), "projection": ("off", "on"), "clustering": ("kmeans", "hdbscan")}
 
 
+def choices(field: str) -> tuple[str, ...]:
+    """Encoders can be registered at any time."""
+    return tuple(ENCODERS) if field == "embedding" else CHOICES[field]
+
+
 def resolve(field: str, raw: str | None, override: str | None = None) -> Decision:
-    allowed = CHOICES[field]
+    allowed = choices(field)
     if override is not None:
         return Decision(field, None, override, "override")
     choice = parse_choice(raw or "", allowed)
@@ -91,7 +96,7 @@ class Advisor:
 
     def decide(self, field: str) -> str:
         override = self.options.force_strategy if field == "strategy" else getattr(self.options, field)
-        raw = None if override is not None else self._all_at_once(field) if self.options.single_call else self.ask(field, CHOICES[field])
+        raw = None if override is not None else self._all_at_once(field) if self.options.single_call else self.ask(field, choices(field))
         self.decisions.append(resolve(field, raw, override))
         return self.decisions[-1].value
 
@@ -99,7 +104,7 @@ class Advisor:
         """One call for all fields; what it leaves out or garbles falls back field by field."""
         if self._answers is None:
             try:
-                got = json.loads(self.ask("all", tuple(x for c in CHOICES.values() for x in c)))
+                got = json.loads(self.ask("all", tuple(x for c in CHOICES for x in choices(c))))
             except ValueError:
                 got = {}
             self._answers = got if isinstance(got, dict) else {}

@@ -7,10 +7,11 @@ those is by design.
 from __future__ import annotations
 
 import dataclasses
+import re
 
 from pyspark.sql import DataFrame, SparkSession
 
-from semjoin.sources.tables import keep, views
+from semjoin.sources.tables import TABLES, keep, views
 
 TAGS = ("anvil", "bolt", "gear", "gizmo", "plate", "ring", "rod", "widget", "Brand#7", "Brand#20")
 
@@ -73,10 +74,15 @@ def truth_sql(name: str, select: str = "a.id AS a_id, b.id AS b_id") -> str:
     return f"SELECT {select} FROM ({s['a']}) a JOIN ({s['b']}) b ON {s['on']}"
 
 
+def register(spark: SparkSession, sf_dir: str, *sql: str) -> None:
+    """Views of the tables that the statements name, and of no others: each costs a look at its files."""
+    views(spark, sf_dir, *[t for t in TABLES if any(re.search(rf"\b{t}\b", x) for x in sql)])
+
+
 def workload(spark: SparkSession, sf_dir: str, name: str, stored: bool = True) -> Workload:
     """The two sides (id, text) and the true pairs. Sides are written once, as several strategies read them."""
-    views(spark, sf_dir)
     s = SPECS[name]
+    register(spark, sf_dir, s["a"], s["b"])
     sides = [spark.sql(s[x]).selectExpr("CAST(id AS BIGINT) AS id", "text") for x in "ab"]
     if stored:
         sides = [keep(x, f"{name}-side") for x in sides]

@@ -18,6 +18,7 @@ def best_boundaries(lengths: list[int], counts: list[int], max_buckets: int) ->
 
     Exact dynamic program over the distinct lengths: best[j] with k buckets is the least, over the
     previous boundary i, of best[i] with k - 1 buckets plus the padding of lengths i+1 .. j up to length j.
+    The best i never falls as j grows, so a level is found by halving in O(n log n) time and O(n) memory.
     """
     if not lengths:
         return [], 0
@@ -25,14 +26,24 @@ def best_boundaries(lengths: list[int], counts: list[int], max_buckets: int) ->
     size, count = np.asarray(lengths, np.float64)[order], np.asarray(counts, np.float64)[order]
     n = len(size)
     c, s = np.concatenate([[0], np.cumsum(count)]), np.concatenate([[0], np.cumsum(count * size)])
-    pad = size[None, :] * (c[None, 1:] - c[:-1, None]) - (s[None, 1:] - s[:-1, None])
-    pad[np.tril_indices(n, -1)] = np.inf
-    best, back = pad[0].copy(), [np.zeros(n, np.int64)]
+    best, back = size * c[1:] - s[1:], [np.zeros(n, np.int64)]
     totals = [best[-1]]
     for _ in range(1, min(max_buckets, n)):
-        through = np.concatenate([[np.inf], best[:-1]])[:, None] + pad
-        back.append(through.argmin(0))
-        best = through.min(0)
+        before = np.concatenate([[np.inf], best[:-1]])
+        best, first = np.empty(n), np.empty(n, np.int64)
+        spans = [(0, n, 0, n - 1)]
+        while spans:
+            lo, hi, i_lo, i_hi = spans.pop()
+            j = (lo + hi) // 2
+            i = slice(i_lo, min(i_hi, j) + 1)
+            through = before[i] + size[j] * (c[j + 1] - c[i]) - (s[j + 1] - s[i])
+            at = int(through.argmin())
+            best[j], first[j] = through[at], i_lo + at
+            if lo < j:
+                spans.append((lo, j, i_lo, int(first[j])))
+            if j + 1 < hi:
+                spans.append((j + 1, hi, int(first[j]), i_hi))
+        back.append(first)
         totals.append(best[-1])
     k = int(np.argmin(totals))
     out, j = [], n - 1

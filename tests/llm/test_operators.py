@@ -298,3 +298,20 @@ def test_html_on_pages(spark, no_docs):
         assert r["text"] == want and r["n_chars"] == len(want)
     odd = spark.createDataFrame([(1, None, None)], "page_id long, url string, html string")
     assert [tuple(r) for r in htmltext.extract(odd).collect()] == [(1, None, "", 0)]
+
+
+def test_bucket_program_in_linear_memory():
+    """Random histograms against a dense program, and as many lengths as a table of all pairs could not hold."""
+    rng = np.random.default_rng(5)
+    for _ in range(40):
+        n, most = int(rng.integers(1, 60)), int(rng.integers(1, 9))
+        lengths, counts = np.sort(rng.choice(500, n, replace=False)), rng.integers(1, 1000, n)
+        pad = [[int(sum(counts[x] * (lengths[j] - lengths[x]) for x in range(i, j + 1))) for j in range(n)] for i in range(n)]
+        best = pad[0]
+        totals = [best[-1]]
+        for _ in range(1, most):
+            best = [min([pad[0][j], *[best[i - 1] + pad[i][j] for i in range(1, j + 1)]]) for j in range(n)]
+            totals.append(best[-1])
+        assert packing.best_boundaries(list(map(int, lengths)), list(map(int, counts)), most)[1] == min(totals)
+    bounds, _ = packing.best_boundaries(list(range(1, 60_001)), [1] * 60_000, 8)
+    assert len(bounds) == 8 and bounds[-1] == 60_000

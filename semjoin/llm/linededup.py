@@ -16,6 +16,8 @@ _MIX1, _MIX2, _BASE = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x2545F4914F6CDD1D
 _BASE_INV = pow(_BASE, -1, 1 << 64)
 #: Broadcast of line keys only up to this many rows of 24 bytes.
 BROADCAST_ROWS = 200_000
+#: Lines with over one row in so many are joined by broadcast, whatever the number of lines.
+HOT_SHARE = 50_000
 #: Lines of so many code points are compared for one edit, however few words they have.
 NEAR_CHARS = 20
 
@@ -110,6 +112,17 @@ def _meeting(keys: DataFrame) -> DataFrame:
     return keys.join(small(materialize(shared, "shared"), BROADCAST_ROWS), "key", "left_semi").select("h").distinct()
 
 
+def _with_classes(rows: DataFrame, classes: DataFrame) -> DataFrame:
+    """rows joined to their class (h, h2, n: its number of rows). Few classes are broadcast; of more, those with over
+    one row in HOT_SHARE are, which are HOT_SHARE at most, and no class left for the shuffle is larger."""
+    classes = materialize(classes, "moved")
+    if classes.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS:
+        return rows.join(F.broadcast(classes), ["h", "h2"])
+    least = rows.count() // HOT_SHARE
+    hot, rest = F.broadcast(classes.where(F.col("n") > least)), classes.where(F.col("n") <= least)
+    return rows.join(hot, ["h", "h2"]).unionByName(rows.join(hot, ["h", "h2"], "left_anti").join(rest, ["h", "h2"]))
+
+
 def _variant_rows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Kinds: 0 a variant with its position, 1 a variant, 2 the whole line."""
     for pdf in batches:
@@ -180,8 +193,8 @@ def duplicate_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     verified = materialize(pairs.where(F.levenshtein("line", "kline", 1) == 1).select("h", "h2", "keep"), "near")
     forget(wanted)
 
-    moved = classes.join(verified, ["h", "h2"], "left").where("n > 1 or keep is not null").select("h", "h2", "first", "keep")
-    hit = seen.join(moved, ["h", "h2"])
+    moved = classes.join(verified, ["h", "h2"], "left").where("n > 1 or keep is not null").select("h", "h2", "n", "first", "keep")
+    hit = _with_classes(seen, moved)
     gone = hit.where(F.col("keep").isNotNull() | (F.col("first") < spots))
     kept = F.coalesce("keep", "first")
     return gone.select("doc_id", "line_no", kept["doc_id"].alias("keeper_doc_id"), kept["line_no"].alias("keeper_line_no"), F.when(F.col("keep").isNull(), 0).otherwise(1).alias("edits")).distinct()

@@ -49,6 +49,18 @@ def test_equals_brute_force(spark):
         assert (i not in cleaned and not left.strip()) if i in gone and not left.strip() else cleaned[i] == left
 
 
+def test_beyond_the_broadcast_bound(spark, monkeypatch):
+    """Frequent classes by broadcast and rare ones by shuffle give the same rows as all by broadcast."""
+    rows = documents()
+    monkeypatch.setattr(linededup, "BROADCAST_ROWS", 0)
+    monkeypatch.setattr(linededup, "HOT_SHARE", 25)
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {tuple(r) for r in linededup.duplicate_lines(docs).collect()} == brute(rows)
+    seen = spark.createDataFrame([(i, 1, 1) for i in range(90)] + [(i, 2, 2) for i in range(10)] + [(0, 3, 3)], "doc_id long, h long, h2 long")
+    classes = spark.createDataFrame([(1, 1, 90), (2, 2, 10)], "h long, h2 long, n long")
+    assert linededup._with_classes(seen, classes).groupBy("h", "n").count().orderBy("h").collect() == [(1, 90, 90), (2, 10, 10)]
+
+
 def test_empty_table(spark):
     docs = spark.createDataFrame([], "doc_id long, text string")
     assert linededup.duplicate_lines(docs).collect() == []

@@ -75,7 +75,7 @@ def semantic_join(a: DataFrame, b: DataFrame, predicate: str, model: LanguageMod
         elif options.force_strategy is None and not labels_are_valid(labels, options.label_sample + 1, max_labels=options.max_labels):
             advisor.decisions.append(Decision("strategy", ",".join(labels), "cluster", "fallback"))
             strategy = "cluster"
-    expected = estimate(a, b, predicate, strategy, options)
+    expected = estimate(a, b, predicate, strategy, options, max(1, len(labels) - 1))
     if options.max_tokens is not None and expected.tokens > options.max_tokens:
         raise BudgetError(f"expected {expected.tokens} tokens, allowed {options.max_tokens}")
     spark = a.sparkSession

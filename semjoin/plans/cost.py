@@ -23,11 +23,14 @@ def block_cost(s: Stats, ba: int, bb: int) -> tuple[int, float]:
     return ra * rb, ra * rb * s.p + s.m * s.ta * rb + s.n * s.tb * ra
 
 
-def estimate(a: DataFrame, b: DataFrame, predicate: str, strategy: str, options) -> Estimate:
+def estimate(a: DataFrame, b: DataFrame, predicate: str, strategy: str, options, n_labels: int = 1) -> Estimate:
+    """With multi_label every row is asked once for each of n_labels; a label table is not asked."""
     s = measure(a, b, predicate)
     if strategy == "label":
-        calls = 1 + math.ceil(s.m / options.classify_batch) + math.ceil(s.n / options.classify_batch)
-        return Estimate(strategy, calls, round(calls * (s.p + 20) + s.m * s.ta + s.n * s.tb))
+        times, asked = n_labels if options.multi_label else 1, 0 if options.label_table else s.n
+        batches = math.ceil(s.m / options.classify_batch) + math.ceil(asked / options.classify_batch)
+        calls = 1 + times * batches
+        return Estimate(strategy, calls, round(calls * (s.p + 20) + times * (s.m * s.ta + asked * s.tb)))
     if strategy == "pairwise":
         return Estimate(strategy, s.m * s.n, round(s.m * s.n * (s.p + s.ta + s.tb + 1)))
     if strategy == "block":

@@ -239,6 +239,8 @@ _groups_all("w3", "tag", _PARTS_ALL, SPECS["w3"]["b"], [f"SELECT a.id AS id, min
 
 _PAGES = "SELECT page_id AS id, html AS text FROM pages"
 _PAGE_LANG = f"SELECT id, CASE WHEN l IN ({in_list(list(STOP_WORDS))}) THEN l ELSE '{UNKNOWN}' END AS label FROM (SELECT page_id AS id, regexp_extract(html, '<html lang=\"([a-z]+)\"', 1) AS l FROM pages) p"
+_VECTORS_BY_LABEL = [f"SELECT vec_id AS id, CAST(label AS VARCHAR(20)) AS text FROM embeddings WHERE vec_id % 2 = {x}" for x in (0, 1)]
+_groups_all("w8", "equal", *_VECTORS_BY_LABEL, [f"SELECT id, text AS label FROM ({x}) v" for x in _VECTORS_BY_LABEL], labels=tuple(map(str, range(10))))
 _groups_all("w10", "page_language", _PAGES, _PAGES, [_PAGE_LANG, _PAGE_LANG], labels=tuple(STOP_WORDS))
 
 
@@ -497,11 +499,20 @@ query(truth_sql("w2"), "cnf_join_extracted_w2")(_model_cnf("w2"))
 query(truth_sql("w3"), "cnf_join_extracted_w3")(_model_cnf("w3"))
 
 
-@query(truth_sql("w3"))
+@query(f"SELECT a.id AS a_id, b.id AS b_id FROM ({_PARTS_ALL}) a JOIN ({SPECS['w3']['b']}) b ON {SPECS['w3']['on']}")
 def cnf_candidates_w3(spark, sf_dir):
-    w = workload(spark, sf_dir, "w3")
-    pairs = w.a.select(F.col("id").alias("a_id"), F.col("text").alias("a_text")).crossJoin(F.broadcast(w.b.select(F.col("id").alias("b_id"), F.col("text").alias("b_text"))))
-    return pairs.where(baselines.cnf_holds([[_LITERALS[0]]])).select("a_id", "b_id")
+    """Candidates of the tag workload over the whole table of parts."""
+    register(spark, sf_dir, _PARTS_ALL)
+    fa, fb = (spark.sql(x).selectExpr(f"CAST(id AS BIGINT) AS {s}_id", f"text AS {s}_text") for s, x in (("a", _PARTS_ALL), ("b", SPECS["w3"]["b"])))
+    return baselines.cnf_candidates(fa, fb, [[_LITERALS[0]]]).select("a_id", "b_id")
+
+
+@query(truth_sql("w7"))
+def cnf_candidates_w7(spark, sf_dir):
+    """Candidates of the reply workload over all conversations: two equal features, so a hash join on both."""
+    register(spark, sf_dir, SPECS["w7"]["a"])
+    fa, fb = (spark.sql(SPECS["w7"][s]).selectExpr(f"CAST(id AS BIGINT) AS {s}_id", f"CAST(conv_id AS STRING) AS {s}_conv", f"CAST(turn + {add} AS STRING) AS {s}_at") for s, add in (("a", 1), ("b", 0)))
+    return baselines.cnf_candidates(fa, fb, [[baselines.Literal("conv", "equal", 0.0)], [baselines.Literal("at", "equal", 0.0)]]).select("a_id", "b_id")
 
 
 @query("SELECT CAST(10000 AS BIGINT) AS survivors, CAST(10600 AS BIGINT) AS calls")

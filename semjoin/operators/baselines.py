@@ -127,9 +127,13 @@ class Literal:
     theta: float
 
 
+def feature_words(t: Column) -> Column:
+    return F.array_distinct(F.filter(F.split(F.lower(t), r"[^\p{L}\p{N}#]+"), lambda w: w != ""))
+
+
 def feature_distance(name: str, x: Column, y: Column) -> Column:
     """Distances between two text features, cheap and without Python."""
-    words = lambda t: F.array_distinct(F.filter(F.split(F.lower(t), r"[^\p{L}\p{N}#]+"), lambda w: w != ""))
+    words = feature_words
     union = F.size(F.array_union(words(x), words(y)))
     return {
         "equal": F.when(x.eqNullSafe(y), 0.0).otherwise(1.0),
@@ -214,9 +218,38 @@ def drawn_pairs(fa: DataFrame, fb: DataFrame, size: int, seed: int = 7) -> DataF
     return left.crossJoin(F.broadcast(right)).orderBy(order_key(seed, "a_id", "b_id"), "a_id", "b_id").limit(size)
 
 
+def _word_candidates(fa: DataFrame, fb: DataFrame, lit: Literal) -> DataFrame:
+    """(a_id, b_id), among them all pairs whose word sets hold `lit` (missing_word, or jaccard below 1): pairs meet on
+    the rarest words of a row, so many that one of them must be shared. Rows of B that may miss all their words meet
+    every row of A, as all of those pairs hold."""
+    sets = [f.select(F.col(f"{s}_id").alias("id"), feature_words(F.col(f"{s}_{lit.feature}")).alias("w")).where("w is not null") for f, s in ((fa, "a"), (fb, "b"))]
+    if lit.distance == "jaccard":
+        sets = [x.withColumn("w", F.when(F.size("w") == 0, F.array(F.lit(""))).otherwise(F.col("w"))) for x in sets]
+    each = [x.select("id", F.explode("w").alias("word")) for x in sets]
+    known = each[0].unionByName(each[1]).groupBy("word").agg(F.count(F.lit(1)).alias("n"))
+    size = F.size("w")
+    need = F.lit(int(lit.theta) + 1) if lit.distance == "missing_word" else size - F.ceil(size * (1 - lit.theta) - 1e-9) + 1
+
+    def rarest(rows: DataFrame) -> DataFrame:
+        ranked = rows.join(known, "word").groupBy("id").agg(F.array_sort(F.collect_list(F.struct("n", "word"))).alias("w"))
+        return ranked.select("id", F.explode(F.slice("w", 1, need.cast("int"))).alias("x")).select("id", "x.word")
+
+    left = each[0] if lit.distance == "missing_word" else rarest(each[0])
+    met = left.select(F.col("id").alias("a_id"), "word").join(rarest(each[1]).select(F.col("id").alias("b_id"), "word"), "word").select("a_id", "b_id")
+    if lit.distance == "missing_word":
+        few = sets[1].where(F.size("w") <= lit.theta).select(F.col("id").alias("b_id"))
+        met = met.unionByName(sets[0].select(F.col("id").alias("a_id")).crossJoin(few))
+    return met.distinct()
+
+
 def cnf_candidates(fa: DataFrame, fb: DataFrame, clauses: list[list[Literal]]) -> DataFrame:
-    """Pairs that satisfy the clauses: a hash join on clauses of one equality, a nested loop where there is none."""
-    keys = [c[0].feature for c in clauses if len(c) == 1 and c[0].distance == "equal" and c[0].theta < 1]
+    """Pairs that satisfy the clauses: a hash join on clauses of one equality, or else on shared rare words for a
+    clause of one word distance; a nested loop where there is neither. Ids are unique on each side."""
+    single = [c[0] for c in clauses if len(c) == 1]
+    keys = [x.feature for x in single if x.distance == "equal" and x.theta < 1]
+    by_words = [x for x in single if x.distance == "missing_word" or (x.distance == "jaccard" and x.theta < 1)]
+    if not keys and by_words:
+        return _word_candidates(fa, fb, by_words[0]).join(fa, "a_id").join(fb, "b_id").where(cnf_holds(clauses))
     if not keys:
         return fa.crossJoin(fb).where(cnf_holds(clauses))
     on = F.lit(True)

@@ -1,5 +1,11 @@
 """The feature baseline: proposed and extracted features, equality as a hash join, drawn pairs, a precision target."""
 
+import random
+
+import duckdb
+import pytest
+
+from semjoin import catalogue
 from semjoin.models import RulebookModel, ScriptedModel
 from semjoin.operators import baselines
 from semjoin.operators.baselines import Literal
@@ -49,3 +55,25 @@ def test_drawn_pairs(spark):
 def test_no_proposal_means_all_pairs(spark):
     a, b = sides(spark, 3)
     assert baselines.propose_features(a, b, "x", ScriptedModel(["nothing to say"]))[0] == []
+
+
+@pytest.mark.parametrize("lit", [Literal("f", "missing_word", 0.0), Literal("f", "missing_word", 1.0), Literal("f", "jaccard", 0.0), Literal("f", "jaccard", 0.4), Literal("f", "jaccard", 0.75)])
+def test_word_candidates_lose_no_pair(spark, lit):
+    """Pairs that meet on rare words are those of the nested loop, with empty, null, repeated and hot words."""
+    rng = random.Random(4)
+    text = lambda: rng.choice([None, "", "!!"]) if rng.random() < 0.1 else " ".join(rng.choice("the the the Ring rod bolt gear anvil über b#7".split()) for _ in range(rng.randint(1, 6)))
+    fa = spark.createDataFrame([(i, text()) for i in range(60)], "a_id long, a_f string")
+    fb = spark.createDataFrame([(i, text()) for i in range(50)], "b_id long, b_f string")
+    pairs = lambda x: sorted(tuple(r) for r in x.select("a_id", "b_id").collect())
+    want = pairs(fa.crossJoin(fb).where(baselines.cnf_holds([[lit]])))
+    assert pairs(baselines.cnf_candidates(fa, fb, [[lit]])) == want and want
+
+
+def test_candidates_over_whole_tables(spark):
+    con = duckdb.connect()
+    for t in ("part", "conversations", "embeddings"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '/root/testdata/sf0.01/{t}.parquet'")
+    for name in ("cnf_candidates_w3", "cnf_candidates_w7", "label_groups_equal_all"):
+        got = catalogue.QUERIES[name](spark, "/root/testdata/sf0.01")
+        want = con.execute(catalogue.ORACLES[name]).df()[got.columns]
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.itertuples(index=False))) and len(want)

@@ -5,7 +5,7 @@ import time
 from pyspark.sql import functions as F
 
 from semjoin import catalogue
-from semjoin.operators import classifier
+from semjoin.operators import classifier, relational
 
 
 def test_label_totals_equal_the_pairs(spark):
@@ -28,3 +28,24 @@ def test_segments_of_many_customers(spark, tmp_path):
         evens, odds = range(0, 200_000, 2), range(1, 200_000, 2)
         assert row["n"] == 10**10 and row["s"] == 10**5 * (sum(x % 97 for x in evens) + sum(x % 89 for x in odds))
     assert time.time() - began < 60
+
+
+def test_broadcast_is_the_smaller_side(spark, tmp_path):
+    spark.range(50).select(F.col("id").alias("c_custkey")).write.parquet(f"{tmp_path}/customer.parquet")
+    spark.range(3_000).select(F.col("id").alias("o_orderkey"), (F.col("id") % 40).alias("o_custkey")).write.parquet(f"{tmp_path}/orders.parquet")
+    got = catalogue.QUERIES["join_hint_broadcast"](spark, str(tmp_path))
+    plan = got._jdf.queryExecution().optimizedPlan().toString()
+    assert got.count() == 3_000 and "leftHint=(strategy=broadcast)" in plan and "rightHint" not in plan
+    a, b = relational.broadcast_smaller(spark.range(5).withColumnRenamed("id", "x"), spark.range(4), most=3)
+    assert "Hint" not in a.join(b, F.col("x") == F.col("id"))._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_stream_join_compares_what_is_near(spark, tmp_path):
+    """20,000 rows a side with one label, an hour apart: 400,000,000 pairs have the label, 100,000 are near in time."""
+    rows = spark.range(40_000).select(F.col("id").alias("event_id"), F.lit(1).cast("long").alias("user_id"), F.when(F.col("id") % 2 == 0, "error").otherwise("signup").alias("event_type"), F.timestamp_micros((F.col("id") / 2).cast("long") * 3_600_000_000 + 1_800_000_000).cast("timestamp_ntz").alias("ts"), F.lit(1.0).alias("value"))
+    rows.write.parquet(f"{tmp_path}/events.parquet")
+    began = time.time()
+    got = catalogue.QUERIES["stream_label_join"](spark, str(tmp_path))
+    assert time.time() - began < 90
+    near = lambda i: [j for j in range(i - 2, i + 3) if 0 <= j < 20_000]
+    assert {tuple(r) for r in got.select("a_id", "b_id").collect()} == {(2 * i, 2 * j + 1) for i in range(20_000) for j in near(i)} and got.count() == 99_994

@@ -2,10 +2,11 @@
 
 import time
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from semjoin import catalogue
-from semjoin.operators import classifier, relational
+from semjoin.operators import classifier, clustering, relational
 
 
 def test_label_totals_equal_the_pairs(spark):
@@ -49,3 +50,40 @@ def test_stream_join_compares_what_is_near(spark, tmp_path):
     assert time.time() - began < 90
     near = lambda i: [j for j in range(i - 2, i + 3) if 0 <= j < 20_000]
     assert {tuple(r) for r in got.select("a_id", "b_id").collect()} == {(2 * i, 2 * j + 1) for i in range(20_000) for j in near(i)} and got.count() == 99_994
+
+
+def test_density_blocks_give_the_one_tree(spark):
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.integers(-40, 40, (150, 3)) + c for c in (0, 300, 900)] + [rng.integers(-2000, 2000, (30, 3))])
+    points = spark.createDataFrame([(1000 - i, v.tolist()) for i, v in enumerate(x)], "id long, v array<bigint>")
+    want = clustering.hdbscan_labels(x[::-1], 5, 3)
+    got = {r["id"]: r["cluster"] for r in clustering.hdbscan(points, 5, 3, block=70).collect()}
+    assert [got[k] for k in sorted(got)] == want.tolist() and len(set(want) - {-1}) >= 3
+
+
+def test_density_clustering_of_many_points(spark):
+    """Over 20,000 points, in two far groups of equal points and one that falls off the nearer of them."""
+    points = spark.range(20_003).selectExpr("id", "array(IF(id = 20002, -900000, (id % 2) * 1000000), id % 2) AS v")
+    got = clustering.hdbscan(points, 5, 3, block=6_000).collect()
+    assert len(got) == 20_003 and {(r["id"] % 2, r["cluster"]) for r in got if r["id"] < 20_002} == {(0, 0), (1, 1)} and [r["cluster"] for r in got if r["id"] == 20_002] == [0]
+
+
+def test_nearest_center_is_exact():
+    rng = np.random.default_rng(2)
+    for most in (3, 2**40):
+        x, centers = rng.integers(-most, most, (300, 4)), rng.integers(-most, most, (20, 4))
+        centers[7] = centers[3]
+        slow = [min(range(20), key=lambda i, v=v: (sum((int(p) - int(q)) ** 2 for p, q in zip(v, centers[i], strict=True)), i)) for v in x]
+        if most == 3:
+            assert clustering.nearest(x, centers).tolist() == slow
+        else:
+            assert clustering.nearest(x // 2**12, centers // 2**12).tolist() == [min(range(20), key=lambda i, v=v: (sum((int(p) - int(q)) ** 2 for p, q in zip(v // 2**12, centers[i] // 2**12, strict=True)), i)) for v in x]
+
+
+def test_tag_clusters_of_many_parts(spark, tmp_path):
+    """40,000 parts and 200 clusters, of which equal texts are dealt once a round."""
+    words = F.array(*[F.lit(x) for x in ("large bolt", "red gear", "hot ring", "blue rod")])
+    spark.range(40_000).select(F.col("id").alias("p_partkey"), words[(F.col("id") % 4).cast("int")].alias("p_name"), F.concat(F.lit("Brand#"), F.col("id") % 25).alias("p_brand")).write.parquet(f"{tmp_path}/part.parquet")
+    began = time.time()
+    got = catalogue.QUERIES["cluster_join_w3_all"](spark, str(tmp_path))
+    assert got.count() == got.distinct().count() == 40_000 + 2 * 1_600 and time.time() - began < 60

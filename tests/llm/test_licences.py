@@ -72,3 +72,11 @@ def test_wrapped_notices_and_inheritance(spark):
         9: ("GPL-3.0", "own"), 10: ("GPL-3.0", "inherited"),
     }
     assert licences.licences(docs, F.col("path")).count() == len(rows)
+
+
+def test_query_inherits_along_paths(spark, tmp_path):
+    from semjoin.llm.queries import op3_license_scan
+
+    rows = [(1, "r/LICENSE", licences.FULL_TEXTS[0][1]), (2, "r/a/b.py", "plain code"), (3, "s/c.py", "plain code")]
+    spark.createDataFrame(rows, "doc_id long, path string, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert {r["doc_id"]: (r["licence"], r["how"]) for r in op3_license_scan(spark, str(tmp_path)).collect()} == {1: ("MIT", "own"), 2: ("MIT", "inherited"), 3: (None, "none")}

@@ -1,6 +1,7 @@
 """Joins whose work must not grow with their pairs."""
 
 import time
+import tracemalloc
 
 import numpy as np
 from pyspark.sql import functions as F
@@ -68,6 +69,35 @@ def test_density_clustering_of_many_points(spark):
     assert len(got) == 20_003 and {(r["id"] % 2, r["cluster"]) for r in got if r["id"] < 20_002} == {(0, 0), (1, 1)} and [r["cluster"] for r in got if r["id"] == 20_002] == [0]
 
 
+def test_trees_of_blocks_and_between_blocks_hold_the_one_tree():
+    rng = np.random.default_rng(1)
+    for most in (3, 50, 10**6):
+        x = rng.integers(-most, most + 1, (110, 2))
+        core = clustering.core_squares(x, 0, len(x), 3)
+        assert (core == np.sort(clustering.squares(x, x), 1)[:, 2]).all()
+        edges, cuts = [], [(a, min(a + 27, 110)) for a in range(0, 110, 27)]
+        for k, (a, b) in enumerate(cuts):
+            w, i, j = clustering.tree_of(x[a:b], core[a:b])
+            edges.append((w, i + a, j + a))
+            for c, d in cuts[k + 1 :]:
+                w, i, j = clustering.tree_between(x[a:b], x[c:d], core[a:b], core[c:d])
+                assert len(w) == b - a + d - c - 1
+                edges.append((w, i + a, j + c))
+        want, got = clustering.least_tree(110, *clustering.tree_of(x, core)), clustering.least_tree(110, *[np.concatenate(e) for e in zip(*edges, strict=True)])
+        assert all((a == b).all() for a, b in zip(want, got, strict=True))
+
+
+def test_vectors_are_gathered_without_rows_of_python(spark):
+    """A list of Python's numbers takes many times the bytes of its vector."""
+    points = spark.range(0, 30_000, 1, 3).selectExpr("29999 - id AS id", "transform(sequence(1, 32), d -> id * 32 + d) AS v")
+    tracemalloc.start()
+    ids, x = clustering._gathered(points)
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert x.dtype == np.int32 and (ids == np.arange(30_000)).all() and (x[:, 0] == (29_999 - ids) * 32 + 1).all() and x.shape == (30_000, 32)
+    assert most < 6 * x.nbytes, most / x.nbytes
+
+
 def test_nearest_center_is_exact():
     rng = np.random.default_rng(2)
     for most in (3, 2**40):

@@ -133,3 +133,78 @@ def test_rows_of_one_id_are_told_apart(spark):
     kept = decontaminate.without_leaks(docs, bench)
     assert kept.columns == docs.columns and sorted(r["__h1"] for r in kept.collect()) == ["n", "y", "z"]
     assert sorted((str(r["doc_id"]), r["item_id"]) for r in decontaminate.leaks(docs, bench).collect()) == [("1", 7), ("3", 7), ("None", 7)]
+
+
+def test_one_disagreeing_run_does_not_hide_a_chain():
+    """The longest run, of three sentences, has another number than the six single ones, which are half of the item."""
+    say = lambda k, n: f"s{chr(97 + k)} wa wb wc {n} wd we wf t{chr(97 + k)}"
+    doc = [" ".join(say(k, 7) for k in range(3)), *[f"x{chr(97 + k)} {say(k, 9)}" for k in range(3, 9)]]
+    assert leaks([" ".join(doc)], [" ".join(say(k, 5) for k in range(12))])[0][0][1:3] == (54, 108)
+
+
+def test_a_longer_run_far_away_does_not_hide_a_chain():
+    item = ITEM.split()
+    doc = [*item[:11], *["x"] * 200, *item[:10], "y", *item[11:20]]
+    assert leaks([" ".join(doc)], [ITEM])[0][0][:2] == (211, 19)
+
+
+def test_fillers_that_disagree_leave_nothing_behind():
+    doc, tokens = [(np.array(x), np.array(x), None) for x in ([5, 6, 6], [1, 2, 3])]
+    tokens = (*tokens[:2], np.ones(3, bool))
+    there, back = {1: 5}, {5: 1}
+    assert decontaminate.fillers(doc, tokens, 0, 3, 0, there, back) is None and (there, back) == ({1: 5}, {5: 1})
+    assert decontaminate.fillers(doc, tokens, 0, 2, 0, there, back) == 2 and there == {1: 5, 2: 6}
+
+
+def slow_chain(doc, tokens, runs, span):
+    """All chains, one after the other."""
+    best = (0, 0)
+
+    def value(pieces, starts):
+        there, back, changed, cover = {}, {}, 0, 0
+        for a, b, shift in pieces:
+            cover += b - a
+            for i in range(a, b):
+                if tokens[2][i]:
+                    x, y = tokens[0][i], doc[0][i + shift]
+                    if there.setdefault(x, y) != y or back.setdefault(y, x) != x:
+                        return (0, 0)
+                    changed += x != y
+        plain = {tokens[1][i] for a, b, _ in pieces for i in range(a, b) if not tokens[2][i]}
+        near = any(all(abs(x - c) <= span for x in starts) for c in starts)
+        return (cover, -changed) if near and (not changed or len(plain) >= decontaminate.PLAIN) else (0, 0)
+
+    def walk(pieces, last, starts):
+        nonlocal best
+        best = max(best, value(pieces, starts))
+        a, b, s = pieces[-1]
+        for c, d, t in runs:
+            if c > last[0] and c + t > last[0] + last[2]:
+                for stop, go in {(b, max(c, b, b + s - t)), (min(b, c, c + t - s), c)}:
+                    if a < stop and go < d:
+                        walk([*pieces[:-1], (a, stop, s), (go, d, t)], (c, d, t), [*starts, c + t])
+
+    for r in runs:
+        walk([r], r, [r[0] + r[2]])
+    return best[0], -best[1]
+
+
+def test_no_chain_is_missed():
+    rng, missed = np.random.default_rng(3), 0
+    for _ in range(400):
+        slots = rng.random(24) < 0.4
+        own = np.where(slots, 100 + rng.integers(0, 6, 24), rng.integers(0, 9, 24))
+        tokens = (own, np.where(slots, 99, own), slots)
+        doc = (100 + rng.integers(0, 6, 60), None, None)
+        runs = []
+        for _ in range(rng.integers(2, 8)):
+            a = int(rng.integers(0, 20))
+            runs.append((a, int(rng.integers(a + 1, 25)), int(rng.integers(0, 36))))
+        runs = list(dict.fromkeys(runs))
+        span = int(rng.integers(8, 40))
+        want = slow_chain(doc, tokens, runs, span)
+        cover, changed, _ = decontaminate.chain(doc, tokens, runs, span)
+        assert (cover, -changed) >= (want[0], -want[1])
+        assert all(decontaminate.chain(doc, tokens, runs, span, need)[0] >= need for need in range(want[0] + 1))
+        missed += decontaminate.near_chain(doc, tokens, runs, span)[0] < want[0]
+    assert missed > 20
